@@ -129,3 +129,12 @@ def covered(starts: np.ndarray, width: int, n: int) -> np.ndarray:
     np.add.at(change, starts, 1)
     np.add.at(change, np.minimum(starts + width, n), -1)
     return np.cumsum(change[:-1]) > 0
+
+
+def own_exchange(aggregated: DataFrame, key: str) -> DataFrame:
+    """An aggregated side of a join with its long key as a computed column.
+
+    The optimizer then shuffles this (smaller) side once more by the key, and with a plain exchange on both sides a join can
+    split a hot key of the other side at run time, which it can't where one side is read straight from an aggregate.
+    """
+    return aggregated.withColumn(key, F.col(key).bitwiseXOR(F.lit(0).cast("long")))

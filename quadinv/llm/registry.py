@@ -1,6 +1,12 @@
 """Queries of this subpackage and, where SQL can express them, their SQL."""
 
 from .decontaminate import OP8_SQL, op8_decontaminate
+from .simhash import op9_simhash_bktree
+from .substring_dedup import OP10_SQL, op10_substring_dedup
 
-QUERIES = {"op8_decontaminate": op8_decontaminate}
-ORACLES = {"op8_decontaminate": OP8_SQL}
+QUERIES = {
+    "op8_decontaminate": op8_decontaminate,
+    "op9_simhash_bktree": op9_simhash_bktree,
+    "op10_substring_dedup": op10_substring_dedup,
+}
+ORACLES = {"op8_decontaminate": OP8_SQL, "op10_substring_dedup": OP10_SQL}
