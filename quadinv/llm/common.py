@@ -125,9 +125,7 @@ def rolling(h: np.ndarray, width: int, multiplier: int) -> np.ndarray:
 
 def covered(starts: np.ndarray, width: int, n: int) -> np.ndarray:
     """Which of n positions lie in a run of width that begins at one of starts."""
-    change = np.zeros(n + 1, np.int32)
-    np.add.at(change, starts, 1)
-    np.add.at(change, np.minimum(starts + width, n), -1)
+    change = np.bincount(starts, minlength=n + 1) - np.bincount(np.minimum(starts + width, n), minlength=n + 1)
     return np.cumsum(change[:-1]) > 0
 
 

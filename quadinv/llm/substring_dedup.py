@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from itertools import chain, compress
 
 import numpy as np
 import pyarrow as pa
@@ -33,7 +34,7 @@ LEAST_BITS = 16
 #: Below this many false alarms (rows of an id, a position and a digest) they are broadcast, beyond it they are joined.
 BROADCAST_ROWS = 500_000
 STRIPES = 64
-GRAM_FACTOR, WINDOW_FACTOR = 0xD6E8FEB86659FD93, 0xA0761D6478BD642F
+GRAM_FACTOR = 0xD6E8FEB86659FD93
 
 
 def _sliding(values: np.ndarray, width: int, best) -> np.ndarray:
@@ -45,16 +46,60 @@ def _sliding(values: np.ndarray, width: int, best) -> np.ndarray:
     return best(values[: len(values) - (width - size)], values[width - size :]) if width > size else values
 
 
-def grams(hashes: np.ndarray, window: int, gram: int) -> tuple[np.ndarray, np.ndarray]:
-    """Least gram of each window; and the gram at each position that is the least of some window."""
-    each = rolling(hashes, gram, GRAM_FACTOR)
-    span = window - gram + 1
-    if len(each) < span:
-        return np.empty(0, np.uint64), np.empty(0, np.uint64)
-    least = _sliding(each, span, np.minimum)
-    padded = np.concatenate((np.zeros(span - 1, np.uint64), least, np.zeros(span - 1, np.uint64)))
-    chosen = _sliding(padded, span, np.maximum) == each  # a gram is never below the least of a window that holds it
-    return least, each[chosen]
+class Piece:
+    """Some texts as one run of words, so that numpy works on thousands of short texts at once.
+
+    least: least gram of the window at each word; starts: the words at which a window lies within one text, ascending.
+    """
+
+    def __init__(self, texts: list[bytes], words: WordHash, window: int, gram: int):
+        self.split = [t.split() for t in texts]
+        self.sizes = np.fromiter(map(len, self.split), np.int64, len(texts))
+        self.ends = np.cumsum(self.sizes)
+        self.flat = list(chain.from_iterable(self.split))
+        n = len(self.flat)
+        each = rolling(words.of(self.flat), gram, GRAM_FACTOR)
+        span = window - gram + 1
+        if len(each) < span:
+            self.least, self.starts, self.each = np.empty(0, np.uint64), np.empty(0, np.int64), each
+        else:
+            self.least = _sliding(each, span, np.minimum)
+            left = np.repeat(self.ends, self.sizes) - np.arange(n)  # words from each one to its text's end
+            self.starts = np.flatnonzero(left[: len(self.least)] >= window)
+            self.each = each
+        self.window, self.span = window, span
+
+    def chosen(self) -> np.ndarray:
+        """The grams that are the least of some window, each where it stands."""
+        if not len(self.starts):
+            return np.empty(0, np.uint64)
+        padded = np.zeros(len(self.each) + self.span - 1, np.uint64)
+        padded[self.starts + self.span - 1] = self.least[self.starts]
+        return self.each[_sliding(padded, self.span, np.maximum) == self.each]  # a gram is never below the least of its windows
+
+    def suspects(self, estimate: Sketch) -> np.ndarray:
+        """Words at which a window starts that is estimated repeated."""
+        least = self.least[self.starts]
+        if not len(least):
+            return self.starts
+        change = np.flatnonzero(np.concatenate(([True], least[1:] != least[:-1])))  # neighbours mostly share their least gram
+        return self.starts[np.repeat(estimate.repeated(least[change]), np.diff(np.append(change, len(least))))]
+
+    def digests(self, starts: np.ndarray) -> np.ndarray:
+        """128-bit digests of the windows' words, as pairs of longs."""
+        import xxhash
+
+        joined = b" ".join(self.flat)
+        lengths = np.fromiter(map(len, self.flat), np.int64, len(self.flat))
+        ends = np.cumsum(lengths + 1) - 1
+        begins = (ends - lengths)[starts].tolist()
+        digest = xxhash.xxh3_128_digest
+        return np.frombuffer(b"".join([digest(joined[b:e]) for b, e in zip(begins, ends[starts + self.window - 1].tolist())]), "<i8").reshape(-1, 2)
+
+    def places(self, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Text and position in it of each of starts."""
+        text = np.searchsorted(self.ends, starts, side="right")
+        return text, starts - (self.ends - self.sizes)[text]
 
 
 def slots(keys: np.ndarray, row: int, bits: int) -> np.ndarray:
@@ -106,11 +151,8 @@ def sketch(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, text: str =
         words = WordHash()
         for batch in batches:
             for _, piece in chunks(utf8(batch.column(text))):
-                for value in piece:
-                    split = value.split()
-                    if len(split) >= window:
-                        held.append(grams(words.of(split), window, gram)[1])
-                        size += len(held[-1])
+                held.append(Piece(piece, words, window, gram).chosen())
+                size += len(held[-1])
                 if size >= 4_000_000:
                     yield flush()
                     held, size = [], 0
@@ -170,28 +212,6 @@ def _ungapped(packed: bytes) -> np.ndarray:
     return np.cumsum(gap + 1) - 1
 
 
-def _suspects(split: list[bytes], words: WordHash, estimate: Sketch, window: int, gram: int) -> np.ndarray:
-    """Starts of the windows that are estimated repeated."""
-    if len(split) < window:
-        return np.empty(0, np.int64)
-    least, _ = grams(words.of(split), window, gram)
-    change = np.flatnonzero(np.concatenate(([True], least[1:] != least[:-1])))  # neighbours mostly share their least gram
-    found = np.repeat(estimate.repeated(least[change]), np.diff(np.append(change, len(least))))
-    return np.flatnonzero(found)
-
-
-def _digests(split: list[bytes], starts: np.ndarray, window: int) -> np.ndarray:
-    """128-bit digests of the windows' words, as pairs of longs."""
-    import xxhash
-
-    joined = b" ".join(split)
-    lengths = np.fromiter(map(len, split), np.int64, len(split))
-    ends = np.cumsum(lengths + 1) - 1
-    begins = (ends - lengths)[starts].tolist()
-    digest = xxhash.xxh3_128_digest
-    return np.frombuffer(b"".join([digest(joined[b:e]) for b, e in zip(begins, ends[starts + window - 1].tolist())]), "<i8").reshape(-1, 2)
-
-
 def false_alarms(docs: DataFrame, shipped, window: int = WINDOW, gram: int = GRAM, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """(id, singles): for each id the positions and digests of windows estimated repeated that start nowhere else."""
 
@@ -200,17 +220,11 @@ def false_alarms(docs: DataFrame, shipped, window: int = WINDOW, gram: int = GRA
         for batch in batches:
             ids = batch.column("id")
             for first, piece in chunks(utf8(batch.column("text"))):
-                rows, position, digest = [], [], []
-                for i, value in enumerate(piece):
-                    split = value.split()
-                    starts = _suspects(split, words, estimate, window, gram)
-                    if len(starts):
-                        rows.append(np.full(len(starts), first + i))
-                        position.append(starts)
-                        digest.append(_digests(split, starts, window))
-                if rows:
-                    both = np.concatenate(digest)
-                    yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), ids.take(pa.array(np.concatenate(rows))), pa.array(np.concatenate(position).astype(np.int32))], names=["d0", "d1", "id", "start"])
+                found = Piece(piece, words, window, gram)
+                starts = found.suspects(estimate)
+                if len(starts):
+                    both, (row, at) = found.digests(starts), found.places(starts)
+                    yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), ids.take(pa.array(first + row)), pa.array(at.astype(np.int32))], names=["d0", "d1", "id", "start"])
 
     source = docs.select(F.col(doc_id).alias("id"), F.col(text).alias("text"))
     kind = source.schema["id"].dataType.simpleString()
@@ -241,20 +255,23 @@ def _finished(docs, window, gram, text, doc_id, keep, most_bits, digest: bool) -
             singles = batch.column("alarm_singles")
             count, removed, left = [], [], []
             for first, piece in chunks(utf8(batch.column(text))):
-                for i, value in enumerate(piece):
-                    split = value.split()
-                    starts = _suspects(split, words, estimate, window, gram)
-                    if len(starts) and (known := singles[first + i].as_py()):
-                        at = np.array([s["start"] for s in known])
-                        mine = np.isin(at, starts)
-                        at, value0 = at[mine], np.array([s["d0"] for s in known])[mine]
-                        if len(at):
-                            at = at[_digests(split, at, window)[:, 0] == value0]
-                        starts = np.setdiff1d(starts, at)
+                found = Piece(piece, words, window, gram)
+                starts = found.suspects(estimate)
+                known = singles.slice(first, len(piece))
+                if len(starts) and known.null_count < len(piece):
+                    row = np.flatnonzero(known.is_valid().to_numpy(zero_copy_only=False))
+                    each = known.drop_null().flatten()
+                    row = np.repeat(row, known.drop_null().value_lengths().to_numpy())
+                    at = (found.ends - found.sizes)[row] + each.field("start").to_numpy()
+                    mine = np.isin(at, starts)
+                    at, value = at[mine], each.field("d0").to_numpy()[mine]
+                    if len(at):
+                        starts = np.setdiff1d(starts, at[found.digests(at)[:, 0] == value])
+                gone = covered(starts, window, len(found.flat)) if len(starts) else None
+                for split, end in zip(found.split, found.ends.tolist()):
                     n = len(split)
-                    if len(starts):
-                        gone = covered(starts, window, n)
-                        split = [w for w, g in zip(split, gone.tolist()) if not g]
+                    if gone is not None and (mask := gone[end - n : end]).any():
+                        split = list(compress(split, (~mask).tolist()))
                     count.append(n)
                     removed.append(n - len(split))
                     whole = b" ".join(split)
