@@ -113,7 +113,7 @@ def from_coo(df: DataFrame, n: int, block: int, cols: int | None = None, fill: f
     none = grid_keys(df.sparkSession, meta.grid_rows, meta.grid_cols).select("bi", "bj", F.lit(None).cast("long").alias("i"), F.lit(None).cast("long").alias("j"), F.lit(0.0).alias("x"))
     rows_, cols_ = meta.logical_rows, meta.logical_cols
 
-    def build(key, group: pa.Table) -> pa.Table:
+    def build(key, group):
         bi, bj = key[0].as_py(), key[1].as_py()
         i, j, x = (group.column(c) for c in ("i", "j", "x"))
         if bi is None or bj is None or i.null_count > 1 or i.null_count != j.null_count or x.null_count:
