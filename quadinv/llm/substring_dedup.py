@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WordHash, chunks, covered, cut, extended, mix, rolling, table, utf8, with_columns
+from .common import chunks, covered, cut, extended, mix, rolling, table, utf8, with_columns, word_hashes
 
 WINDOW = 35
 GRAM = 16
@@ -52,13 +52,13 @@ class Piece:
     least: least gram of the window at each word; starts: the words at which a window lies within one text, ascending.
     """
 
-    def __init__(self, texts: list[bytes], words: WordHash, window: int, gram: int):
+    def __init__(self, texts: list[bytes], window: int, gram: int):
         self.split = [t.split() for t in texts]
         self.sizes = np.fromiter(map(len, self.split), np.int64, len(texts))
         self.ends = np.cumsum(self.sizes)
         self.flat = list(chain.from_iterable(self.split))
         n = len(self.flat)
-        each = rolling(words.of(self.flat), gram, GRAM_FACTOR)
+        each = rolling(word_hashes(self.flat), gram, GRAM_FACTOR)
         span = window - gram + 1
         if len(each) < span:
             self.least, self.starts, self.each = np.empty(0, np.uint64), np.empty(0, np.int64), each
@@ -148,10 +148,9 @@ def sketch(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, text: str =
                     many.append(_gaps(local[n > 1]))
             return pa.RecordBatch.from_arrays([pa.array(stripe, pa.int32()), pa.array(once, pa.binary()), pa.array(many, pa.binary())], names=["stripe", "once", "many"])
 
-        words = WordHash()
         for batch in batches:
             for _, piece in chunks(utf8(batch.column(text))):
-                held.append(Piece(piece, words, window, gram).chosen())
+                held.append(Piece(piece, window, gram).chosen())
                 size += len(held[-1])
                 if size >= 4_000_000:
                     yield flush()
@@ -216,11 +215,11 @@ def false_alarms(docs: DataFrame, shipped, window: int = WINDOW, gram: int = GRA
     """(id, singles): for each id the positions and digests of windows estimated repeated that start nowhere else."""
 
     def run(batches):
-        estimate, words = shipped.value, WordHash()
+        estimate = shipped.value
         for batch in batches:
             ids = batch.column("id")
             for first, piece in chunks(utf8(batch.column("text"))):
-                found = Piece(piece, words, window, gram)
+                found = Piece(piece, window, gram)
                 starts = found.suspects(estimate)
                 if len(starts):
                     both, (row, at) = found.digests(starts), found.places(starts)
@@ -250,12 +249,12 @@ def _finished(docs, window, gram, text, doc_id, keep, most_bits, digest: bool) -
     last = "kept_sha256" if digest else "kept_text"
 
     def run(batches):
-        estimate, words = shipped.value, WordHash()
+        estimate = shipped.value
         for batch in batches:
             singles = batch.column("alarm_singles")
             count, removed, left = [], [], []
             for first, piece in chunks(utf8(batch.column(text))):
-                found = Piece(piece, words, window, gram)
+                found = Piece(piece, window, gram)
                 starts = found.suspects(estimate)
                 known = singles.slice(first, len(piece))
                 if len(starts) and known.null_count < len(piece):
