@@ -23,12 +23,15 @@ def materialize(df: DataFrame, mode: str = "reliable") -> DataFrame:
     """df computed once and cut off from its plan.
 
     `reliable`: a checkpoint in the shared folder. `parquet`: a table there, which keeps statistics and predicate pushdown
-    (disk between all steps, as on a MapReduce system). `persist`: memory and local disk only; the plan stays.
+    (disk between all steps, as on a MapReduce system). `persist`: memory and local disk only; the logical plan is cut, for
+    it would double with every level, but lost parts are computed again from what came before.
     """
     if mode not in MODES:
         raise ValueError(f"unknown mode {mode!r}")
     if mode == "persist":
-        return df.persist()
+        spark = df.sparkSession
+        held = df.persist()._jdf
+        return DataFrame(spark._jsparkSession.internalCreateDataFrame(held.queryExecution().toRdd(), held.schema(), False), spark)
     folder = shared_folder(df.sparkSession)
     if mode == "reliable":
         return df.checkpoint(eager=True)
