@@ -42,6 +42,17 @@ def bounded_sample(rows: DataFrame, key: str, n: int) -> DataFrame:
     return rows.orderBy(F.xxhash64(F.col(key), F.lit("sample")), F.col(key)).limit(n)
 
 
+def unnamed(docs: DataFrame) -> tuple[DataFrame, dict[str, str]]:
+    """docs with columns of neutral names, which clash with no operator's own, and the new name of each column."""
+    name = {c: f"column_{k}_" for k, c in enumerate(docs.columns)}
+    return docs.toDF(*name.values()), name
+
+
+def renamed(found: DataFrame, docs: DataFrame) -> DataFrame:
+    """The columns of docs, by their own names, from what an operator made of unnamed(docs)."""
+    return found.select(*[F.col(f"column_{k}_").alias(c) for k, c in enumerate(docs.columns)])
+
+
 def utf8(column: pa.Array) -> list[bytes | None]:
     """A string column's values as UTF-8 bytes, without decoding."""
     if isinstance(column, pa.ChunkedArray):

@@ -12,7 +12,6 @@ reported. Repeated rows are judged each by itself. Columns of the documents name
 
 from __future__ import annotations
 
-import hashlib
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -21,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import chunks, extended, table, utf8, with_columns
+from .common import chunks, extended, renamed, table, unnamed, utf8, with_columns
 
 WINDOW = 10
 #: Bytes of item text whose automaton is sent to the executors at once; more items go round in further passes.
@@ -199,9 +198,10 @@ def search(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, text: st
     return out
 
 
-def decontaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
+def decontaminated(docs: DataFrame, benchmark: DataFrame, text: str = "text", **options) -> DataFrame:
     """The documents without any occurrence of a window, with their own columns."""
-    return search(docs, benchmark, **options).filter(F.size("hit_words") == 0).select(*docs.columns)
+    plain, name = unnamed(docs)
+    return renamed(search(plain, benchmark, text=name[text], **options).filter(F.size("hit_words") == 0), docs)
 
 
 def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -175,9 +175,8 @@ class Dom:
             share = linked[k] / total[k] if total[k] else -1.0
             out.append(
                 (
-                    "<" + self.tag[k],
+                    f"<{self.tag[k]} links {-1 if share < 0 else int(3.999 * share)}",
                     f"own {min(5, int(math.log2(self.own[k] / 16 + 1)))}",
-                    "links none" if share < 0 else f"links {int(3.999 * share)}",
                     "named" if self.names[k] else "unnamed",
                     *self.names[k],
                 )

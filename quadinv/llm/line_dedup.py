@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import own_exchange, table
+from .common import own_exchange, table, unnamed
 
 LINES = 3
 BLANK = r"^[\x20\x09-\x0D]*$"
@@ -46,12 +46,17 @@ def repeated_lines(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
 
 
 def deduplicated(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = LINES) -> DataFrame:
-    """docs, each text without its repeated lines, with removed_lines (how many) behind its columns."""
-    gone = repeated_lines(docs, text, doc_id, width).select("lines", F.col("doc.id").alias("gone_id"), F.col("doc.content").alias("gone_content"))
-    both = docs.withColumn("own_content", F.xxhash64(text)).join(gone, F.col(doc_id).eqNullSafe(F.col("gone_id")) & (F.col("own_content") == F.col("gone_content")), "left")
+    """docs, each text without its repeated lines, with removed_lines (how many) behind its columns, in place of one of that name."""
+    plain, name = unnamed(docs)
+    words, own = name[text], name[doc_id]
+    gone = repeated_lines(plain, words, own, width).select("lines", F.col("doc.id").alias("gone_id"), F.col("doc.content").alias("gone_content"))
+    both = plain.withColumn("own_content", F.xxhash64(words)).join(gone, F.col(own).eqNullSafe(F.col("gone_id")) & (F.col("own_content") == F.col("gone_content")), "left")
     stay = lambda lines: F.array_except(F.sequence(F.lit(0), F.size(lines) - 1), F.col("lines"))  # noqa: E731  by hashing, in linear time
-    left = F.transform(F.array(F.split(F.col(text), "\n", -1)), lambda lines: F.array_join(F.transform(stay(lines), lambda i: lines[i]), "\n"))[0]
-    return both.select(*[F.when(F.col("lines").isNull(), F.col(text)).otherwise(left).alias(text) if c == text else docs[c] for c in docs.columns], F.coalesce(F.greatest(F.size("lines"), F.lit(0)), F.lit(0)).alias("removed_lines"))
+    left = F.transform(F.array(F.split(F.col(words), "\n", -1)), lambda lines: F.array_join(F.transform(stay(lines), lambda i: lines[i]), "\n"))[0]
+    text_left = F.when(F.col("lines").isNull(), F.col(words)).otherwise(left)
+    count = F.coalesce(F.greatest(F.size("lines"), F.lit(0)), F.lit(0))
+    kept = [c for c in docs.columns if c.lower() != "removed_lines"]
+    return both.select(*[(text_left if c == text else F.col(name[c])).alias(c) for c in kept], count.alias("removed_lines"))
 
 
 def op4_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

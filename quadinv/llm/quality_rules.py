@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import covered, extended, mix, rolling, table, with_columns
+from .common import covered, extended, mix, renamed, rolling, table, unnamed, with_columns
 
 SPACES = " \t\n\x0b\x0c\r"
 SYMBOLS = "#*$%&|<>"
@@ -24,7 +24,10 @@ LEAST_WORDS = 20
 MOST_REPEATED_PERCENT = 30
 KEPT_FROM = 0.5
 MOST_FALSE = 0.001
+ANCHORED = 0.95
 RULES = ("symbols", "capitals", "stutter", "repeated windows", "repeated lines", "length", "word length", "shouting", "separators", "variety", "sentences")
+#: Rules that only ever say bad; the others say either.
+SYMPTOMS = (0, 1, 2, 3, 4, 6, 7, 8)
 GOOD, BAD, ABSTAIN = 1, 0, 2
 
 
@@ -121,29 +124,35 @@ def base_failed(base: tuple[int, ...]) -> bool:
 def posteriors(patterns: np.ndarray, counts: np.ndarray, rules: int = len(RULES), turns: int = 200) -> tuple[np.ndarray, np.ndarray, float]:
     """Posterior of good for each pattern, P(vote | class) as [class, rule, vote] with class 1 good, and the share of good.
 
-    Starts from the votes: a text with any vote for bad is likely bad, for symptoms are rare and good texts show none. A weak
+    Starts from the votes: a text with a symptom is likely bad, for symptoms are rare and good texts show none; else the share
+    of its votes for good counts. A weak
     Dirichlet prior holds each rule to mean what it says. Symptoms are written so that at most MOST_FALSE of the good texts
     show one; the estimate may be less, but not more, or a symptom that comes alone would be taken for a habit of good texts.
+    Texts with votes for good and none for bad anchor the class of good ones: without them symptoms that never come together
+    would let the other class grow until it explains all texts.
     """
     if not len(patterns):
         return np.empty(0), np.full((2, rules, 3), 1 / 3), 0.5
     digits = np.stack([patterns // 3 ** (rules - 1 - r) % 3 for r in range(rules)], axis=1)
     one_hot = (digits[:, :, None] == np.arange(3)).astype(float)
     for_good, for_bad = (digits == GOOD).sum(axis=1), (digits == BAD).sum(axis=1)
-    good = np.where(for_bad > 0, 0.05, (for_good + 1.0) / (for_good + 1.5))
+    ill = (digits[:, list(SYMPTOMS)] == BAD).any(axis=1)
+    good = np.where(ill, 0.05, (for_good + 1.0) / (for_good + for_bad + 1.5))
+    clean = (for_bad == 0) & (for_good > 0)
     weight = counts.astype(float)
-    prior = np.ones((2, rules, 3))
-    prior[1, :, GOOD] += 1
-    prior[0, :, BAD] += 1
+    prior = np.full((2, rules, 3), 0.1)
+    prior[1, :, GOOD] += 0.1
+    prior[0, :, BAD] += 0.1
     for _ in range(turns):
         both = np.stack((1 - good, good))
         told = np.einsum("cp,p,prv->crv", both, weight, one_hot) + prior
         told /= told.sum(axis=2, keepdims=True)
-        told[1, :, BAD] = np.minimum(told[1, :, BAD], MOST_FALSE)
+        told[1, SYMPTOMS, BAD] = np.minimum(told[1, SYMPTOMS, BAD], MOST_FALSE)
         told[1] /= told[1].sum(axis=1, keepdims=True)
         share = float(np.clip((good * weight).sum() / weight.sum(), 0.05, 0.99))
         log = np.einsum("prv,crv->cp", one_hot, np.log(told)) + np.log([1 - share, share])[:, None]
         new = 1 / (1 + np.exp(np.clip(log[0] - log[1], -50, 50)))
+        new[clean] = np.maximum(new[clean], ANCHORED)
         moved = float(np.abs(new - good).max())
         good = new
         if moved < 1e-9:
@@ -180,8 +189,8 @@ def judged(docs: DataFrame, model: dict[int, float] | None = None, text: str = "
 
 def accepted(docs: DataFrame, text: str = "text", **options) -> DataFrame:
     """The documents that the rules keep, with their own columns."""
-    marked = docs.select(F.struct(*[docs[c] for c in docs.columns]).alias("row"), F.col(text).alias("text"))
-    return judged(marked, fit(docs, text), "text", ["row"], **options).filter("kept").select("row.*")
+    plain, name = unnamed(docs)
+    return renamed(judged(plain, fit(docs, text), name[text], **options).filter("kept"), docs)
 
 
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, extended, own_exchange, table, utf8, with_columns
+from .common import cut, extended, own_exchange, renamed, table, unnamed, utf8, with_columns
 from .components import components
 
 SHINGLE = 3
@@ -203,11 +203,13 @@ def one_of_each(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **o
 
     Rows without an id are told apart by their text and kept only where no row with an id is like them.
     """
-    key = F.struct(F.col(doc_id).isNull().alias("none"), F.col(doc_id).alias("id"), F.when(F.col(doc_id).isNull(), F.sha2(F.coalesce(text, F.lit("")), 256)).alias("text"))
-    named = docs.withColumn("row_key", key)
-    found = near_duplicates(named, text, "row_key", **options)
+    plain, name = unnamed(docs)
+    own, words = F.col(name[doc_id]), F.col(name[text])
+    key = F.struct(own.isNull().alias("none"), own.alias("id"), F.when(own.isNull(), F.sha2(F.coalesce(words, F.lit("")), 256)).alias("text"))
+    keyed = plain.withColumn("row_key", key)
+    found = near_duplicates(keyed, name[text], "row_key", **options)
     chosen = found.filter(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("row_key")).distinct()
-    return named.join(chosen, "row_key", "left_semi").dropDuplicates(["row_key"]).select(*docs.columns)
+    return renamed(keyed.join(chosen, "row_key", "left_semi").dropDuplicates(["row_key"]), docs)
 
 
 def op9_simhash_bktree(spark: SparkSession, sf_dir: str) -> DataFrame:

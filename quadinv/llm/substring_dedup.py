@@ -244,23 +244,26 @@ def _finished(docs, window, gram, text, doc_id, keep, most_bits, digest: bool) -
     few = alarms.agg(F.coalesce(F.sum(F.size("singles")), F.lit(0)) + F.count("*")).first()[0] <= BROADCAST_ROWS
     kept = [c for c in (docs.columns if keep is None else keep) if c.lower() not in ("n_words", "n_removed", "kept_text", "kept_sha256")]
     columns = list(dict.fromkeys([*kept, text]))
-    named = alarms.withColumnRenamed("id", "alarm_id")
-    joined = docs.join(F.broadcast(named) if few else named, docs[doc_id].eqNullSafe(F.col("alarm_id")), "left").select(*[docs[c] for c in columns], F.col("singles").alias("alarm_singles"))
+    known = "alarm_singles"
+    while known in docs.columns:
+        known += "_"
+    named = alarms.select(F.col("id").alias(f"{known}_id"), F.col("singles").alias(known))
+    joined = docs.join(F.broadcast(named) if few else named, docs[doc_id].eqNullSafe(named[f"{known}_id"]), "left").select(*[docs[c] for c in columns], named[known])
     last = "kept_sha256" if digest else "kept_text"
 
     def run(batches):
         estimate = shipped.value
         for batch in batches:
-            singles = batch.column("alarm_singles")
+            singles = batch.column(known)
             count, removed, left = [], [], []
             for first, piece in chunks(utf8(batch.column(text))):
                 found = Piece(piece, window, gram)
                 starts = found.suspects(estimate)
-                known = singles.slice(first, len(piece))
-                if len(starts) and known.null_count < len(piece):
-                    row = np.flatnonzero(known.is_valid().to_numpy(zero_copy_only=False))
-                    each = known.drop_null().flatten()
-                    row = np.repeat(row, known.drop_null().value_lengths().to_numpy())
+                some = singles.slice(first, len(piece))
+                if len(starts) and some.null_count < len(piece):
+                    row = np.flatnonzero(some.is_valid().to_numpy(zero_copy_only=False))
+                    each = some.drop_null().flatten()
+                    row = np.repeat(row, some.drop_null().value_lengths().to_numpy())
                     at = (found.ends - found.sizes)[row] + each.field("start").to_numpy()
                     mine = np.isin(at, starts)
                     at, value = at[mine], each.field("d0").to_numpy()[mine]

@@ -17,6 +17,7 @@ import re
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -38,8 +39,6 @@ class Terms(dict):
     LIMIT = 300_000
 
     def __missing__(self, word: str) -> tuple[int, ...]:
-        import xxhash
-
         if len(self) >= self.LIMIT:
             self.clear()
         parts = [word, *(f"{word[:k]}*" for k in PREFIXES if len(word) >= k)]

@@ -357,7 +357,7 @@ def test_pairs_of_terms_are_learned():
     a, b = draw.random(1200) < 0.5, draw.random(1200) < 0.5
     y = (a & b).astype(float)
     noise = draw.integers(100, 160, (1200, 4))
-    terms = [np.unique(np.concatenate(([1] * a[k], [2] * b[k], noise[k])).astype(np.int64)) for k in range(1200)]
+    terms = [np.unique(np.concatenate(([1] * int(a[k]), [2] * int(b[k]), noise[k])).astype(np.int64)) for k in range(1200)]
     model = toxicity.learn(terms[:900], y[:900], epochs=40)
     assert ((model.scores(terms[900:]) > 0.5) == y[900:]).mean() > 0.97
 
