@@ -291,7 +291,12 @@ def totals(method: str, edition: str):
 for (method, edition), formula in TOTALS.items():
     query(f"q_cost_{'quadinv' if method == 'quadinv' else 'lu'}_{edition}", f"SELECT CAST(n0 AS BIGINT) AS n, CAST(b0 AS INTEGER) AS b, round(({formula}) / 1e6, 6) AS mcost FROM {BASE_SQL} AS t")(totals(method, edition))
 query("q_cost_quadinv_rederived", REDERIVED_SQL)(totals("quadinv", "rederived"))
-query("q_cost_lu_rederived")(totals("blocklu", "rederived"))
+LU_REDERIVED_SQL = f"""SELECT CAST(n0 AS BIGINT) AS n, CAST(b0 AS INTEGER) AS b, round((9*n**3/b**2 + s + 7*n**3/8/least(n**2/4, 30.0)) / 1e6, 6) AS mcost FROM (
+ SELECT n0, b0, any_value(n) AS n, any_value(b) AS b, sum(CASE WHEN 2**(i+2) > b THEN 0.0 ELSE (2.0**(i+1) - 1) * (
+   (b**2/4.0**i + 8*(b/2.0**(i+1))*n**2/4.0**(i+1) + 4*b**2/4.0**(i+2)) / least(b**2/4.0**i, 30.0) + (b**2/4.0**i + 16*(b/2.0**(i+2))*n**2/4.0**(i+2)) / least(b**2/4.0**(i+1), 30.0)
+   + b**2/4.0**(i+1) / least(b**2/4.0**(i+2), 30.0) + (4*n**3/8.0**(i+1) + n**2/4.0**(i+1)) / least(n**2/4.0**i, 30.0) + 8*n**3/8.0**(i+2) / least(n**2/4.0**(i+1), 30.0)) END) AS s
+ FROM (SELECT n0, b0, CAST(n0 AS DOUBLE) AS n, CAST(b0 AS DOUBLE) AS b FROM {SIZES_SQL}), range(6) r(i) GROUP BY n0, b0)"""
+query("q_cost_lu_rederived", LU_REDERIVED_SQL)(totals("blocklu", "rederived"))
 
 ROW_SQL = {
     "quadinv": {"leaf": ("n**3/b**2", "1.0"), "split": ("2*b**2 - 2*b", "p0"), "quadrant_filter": ("8*b**2 - 4*b", "p0"), "quadrant_map": ("2*b**2 - 2*b", "p1"), "multiply": ("n**3*(b**2-1)/(6*b**2)", "e1"), "multiply_comm": ("n**2*(b**2-1)/(6*b)", "p1"), "subtract": ("n**2*(b-1)/(2*b)", "e1"), "scale": ("b*(b-1)/2", "p1"), "assemble": ("b*(b-1)/2", "p1")},

@@ -13,6 +13,8 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Rows of which kernel() forms all pairs at most; one side of them is broadcast.
+KERNEL_ROWS = 50_000
 PRICE_KEY = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"]
 
 
@@ -76,6 +78,8 @@ def kernel(spark: SparkSession, sf_dir: str, n: int | None = None) -> DataFrame:
     rows = numbered(some, ["vec_id"], "i")
     if n is not None:
         rows = rows.filter(F.col("i") < n)
+    if (count := rows.count()) > KERNEL_ROWS:
+        raise ValueError(f"{count} rows are too many for all pairs; take n of them")
     other = rows.select(F.col("i").alias("j"), F.col("e").alias("f"))
     dot = F.aggregate(F.zip_with("e", "f", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
     return rows.crossJoin(F.broadcast(other)).select("i", "j", (dot + F.when(F.col("i") == F.col("j"), 1.0).otherwise(0.0)).alias("x"))
@@ -108,7 +112,7 @@ def supplier_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Laplacian of the graph of suppliers, weighted by the orders that two of them share, plus I; only its cells that aren't zero."""
     pairs = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey").distinct()
     numbers = numbered(table(spark, sf_dir, "supplier").select("s_suppkey"), ["s_suppkey"], "i").withColumnRenamed("s_suppkey", "l_suppkey")
-    one = pairs.join(F.broadcast(numbers), "l_suppkey").select("l_orderkey", "i")  # suppliers: far fewer than lines
+    one = pairs.join(numbers, "l_suppkey").select("l_orderkey", "i")
     two = one.select("l_orderkey", F.col("i").alias("j"))
     edges = one.join(two, "l_orderkey").filter("i <> j").groupBy("i", "j").agg(F.count("*").cast("double").alias("w"))
     degree = numbers.select("i").join(edges.groupBy("i").agg(F.sum("w").alias("w")), "i", "left").select("i", F.col("i").alias("j"), (F.coalesce("w", F.lit(0.0)) + 1.0).alias("x"))
@@ -151,7 +155,7 @@ def brand_type(spark: SparkSession, sf_dir: str) -> DataFrame:
     """C C' + 25 I for the counts C of parts by brand and type."""
     counts = table(spark, sf_dir, "part").groupBy("p_brand", "p_type").agg(F.count("*").alias("c"))
     brands = counts.select("p_brand").distinct().withColumn("i", (F.row_number().over(Window.orderBy("p_brand")) - 1).cast("long"))
-    one = counts.join(F.broadcast(brands), "p_brand").select("i", "p_type", "c")
+    one = counts.join(brands, "p_brand").select("i", "p_type", "c")
     two = one.select(F.col("i").alias("j"), "p_type", F.col("c").alias("d"))
     sums = one.join(two, "p_type").groupBy("i", "j").agg(F.sum(F.col("c") * F.col("d")).cast("double").alias("x"))
     every = brands.select("i").crossJoin(brands.select(F.col("i").alias("j")))
