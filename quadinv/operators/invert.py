@@ -44,6 +44,10 @@ class InvertOptions:
     trace: RunTrace = field(default_factory=RunTrace, compare=False)
 
 
+#: Quadrants up to this size aren't worth a job of their own where they are read twice only.
+SMALL_BYTES = 4 << 20
+
+
 def _tagged(frames: dict[str, BlockFrame], opts: InvertOptions) -> dict[str, BlockFrame]:
     """Several results in one job: united under a tag, materialised, and told apart again."""
     if opts.parallel_panels:
@@ -103,12 +107,13 @@ class _Run:
         n = self.difference(level, node, g, right, h, turned=plain)
         q = self.keep(self.node(n if k == 2 * opts.leaf_blocks else self.keep(n), level + 1, node + "1"))
         upper = self.product(level, node, right, q)
+        small = upper.meta.bytes <= SMALL_BYTES
         if opts.symmetric:
-            upper = _tagged({"upper": upper}, opts)["upper"]
+            upper = upper if small else _tagged({"upper": upper}, opts)["upper"]
             lower = ops.transpose(upper)
         else:
-            corner = _tagged({"upper": upper, "lower": self.product(level, node, q, left)}, opts)
-            upper, lower = corner["upper"], corner["lower"]
+            corner = {"upper": upper, "lower": self.product(level, node, q, left)}
+            upper, lower = (corner if small else _tagged(corner, opts)).values()
         if plain:
             top = self.step(level, node, "add", lambda: ops.add(p, multiply(right, lower, opts.strategy, cells=opts.cells)), size // 4)
             self.trace.add(level, node, "multiply", 1, size // 4)
