@@ -198,8 +198,8 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     return prints.join(classes(prints, radius=radius, shard_rows=shard_rows), "fp").select("doc_id", "fp", "component_id")
 
 
-def one_of_each(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **options) -> DataFrame:
-    """docs with one document of each component: that with the smallest id, and of rows with equal ids any one.
+def one_of_each(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", find=near_duplicates, **options) -> DataFrame:
+    """docs with one document of each component that find gives: that with the smallest id, and of rows with equal ids any one.
 
     Rows without an id are told apart by their text and kept only where no row with an id is like them.
     """
@@ -207,7 +207,7 @@ def one_of_each(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **o
     own, words = F.col(name[doc_id]), F.col(name[text])
     key = F.struct(own.isNull().alias("none"), own.alias("id"), F.when(own.isNull(), F.sha2(F.coalesce(words, F.lit("")), 256)).alias("text"))
     keyed = plain.withColumn("row_key", key)
-    found = near_duplicates(keyed, name[text], "row_key", **options)
+    found = find(keyed, name[text], "row_key", **options)
     chosen = found.filter(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("row_key")).distinct()
     return renamed(keyed.join(chosen, "row_key", "left_semi").dropDuplicates(["row_key"]), docs)
 
