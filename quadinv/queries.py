@@ -104,6 +104,18 @@ def kernel500(s, d):
     return shown(to_coo(quad_inverse(from_coo(matrices.kernel(s, d, 500), 500, 128))), 8)
 
 
+def whole_block(n: int) -> int:
+    """Blocks of 128, and from n = 2049 on a power of two that makes at most 16 a side."""
+    return max(128, 1 << ((n - 1) // 16).bit_length())
+
+
+@query("q_quadinv_kernel_all")
+def kernel_all(s, d):
+    """The kernel of all embeddings, its order their number."""
+    n = table(s, d, "embeddings").count()
+    return shown(to_coo(quad_inverse(from_coo(matrices.kernel(s, d), n, whole_block(n)))), 8)
+
+
 query("q_quadinv_flow25", O.cells(O.inverse(O.damped(O.FLOW_SHARES), 25), 8))(lambda s, d: shown(to_coo(quad_inverse(from_coo(matrices.flow(s, d), 25, 8))), 8))
 query("q_quadinv_brand25", O.cells(O.inverse(O.BRANDS, 25), 9))(lambda s, d: shown(to_coo(quad_inverse(from_coo(matrices.brand_type(s, d), 25, 8))), 9))
 
