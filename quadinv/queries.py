@@ -43,6 +43,11 @@ def rounded(x: str | Column, digits: int) -> Column:
     return F.round(F.col(x) if isinstance(x, str) else x, digits) + F.lit(0.0)
 
 
+def whole_block(n: int) -> int:
+    """Blocks of 128, and from n = 2049 on a power of two that makes at most 16 a side."""
+    return max(128, 1 << ((n - 1) // 16).bit_length())
+
+
 def gram(spark: SparkSession, sf_dir: str, b: int, **known) -> BlockFrame:
     return from_coo(matrices.gram(spark, sf_dir), 64, 64 // b, **known)
 
@@ -93,6 +98,17 @@ def price_residual(s, d):
     return metrics.residual(a, quad_inverse(a)).select(F.lit(128).cast("long").alias("n"), (F.col("max_abs") < 1e-6).alias("accurate"))
 
 
+def price_all(s, d, dominant: bool = True) -> BlockFrame:
+    """The matrix of all prices, as it is or with its order added on the diagonal."""
+    cells, n = matrices.price_all(s, d)
+    return from_coo(matrices.shifted(cells, n) if dominant else cells, n, whole_block(n))
+
+
+query("q_quadinv_price_dom_all")(lambda s, d: shown(to_coo(quad_inverse(price_all(s, d))), 10))
+query("q_blocklu_price_dom_all")(lambda s, d: shown(to_coo(blocklu.lu_inverse(price_all(s, d))), 10))
+query("q_multiply_price_all")(lambda s, d: shown(to_coo(multiply(price_all(s, d, False), price_all(s, d, False))), 6))
+
+
 # (X X' + I)^-1 = I - X (I + X'X)^-1 X', so elimination of 64 x 64 answers for 500 x 500.
 KERNEL_SQL = f"""WITH v AS (SELECT row_number() OVER (ORDER BY vec_id) - 1 AS i, embedding FROM (SELECT * FROM embeddings ORDER BY vec_id LIMIT 500)), f AS (SELECT i, CAST(unnest(embedding) AS DOUBLE) AS p, unnest(range(64)) AS k FROM v),
  h AS (SELECT f.i, g.j AS k, sum(f.p * g.x) AS y FROM f JOIN {O.inverse(O.GRAM.replace('FROM embeddings', 'FROM (SELECT * FROM embeddings ORDER BY vec_id LIMIT 500)'), 64)} AS g ON g.i = f.k GROUP BY 1, 2)
@@ -104,11 +120,6 @@ def kernel500(s, d):
     return shown(to_coo(quad_inverse(from_coo(matrices.kernel(s, d, 500), 500, 128))), 8)
 
 
-def whole_block(n: int) -> int:
-    """Blocks of 128, and from n = 2049 on a power of two that makes at most 16 a side."""
-    return max(128, 1 << ((n - 1) // 16).bit_length())
-
-
 @query("q_quadinv_kernel_all")
 def kernel_all(s, d):
     """The kernel of all embeddings, its order their number."""

@@ -15,6 +15,7 @@ from .sources.matrices import table
 from .streaming import streams
 
 query("q_price_cells", O.cells(O.price(128), 8))(lambda s, d: shown(matrices.price(s, d, 128), 8))
+query("q_price_cells_all")(lambda s, d: shown(matrices.price_all(s, d)[0], 8))
 query("q_gram_cells", O.cells(O.GRAM, 8))(lambda s, d: shown(matrices.gram(s, d), 8))
 query("q_markov_cells", O.cells(O.TRANSITIONS, 8))(lambda s, d: shown(matrices.transitions(s, d), 8))
 query("q_flow_cells", O.cells(O.FLOW_SHARES, 8))(lambda s, d: shown(matrices.flow_shares(s, d), 8))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -40,6 +42,22 @@ def price(spark: SparkSession, sf_dir: str, n: int) -> DataFrame:
     return cells.select(F.floor(F.col("k") / n).alias("i"), (F.col("k") % n).alias("j"), (F.pmod(cents, F.lit(100000)) / 100000.0).alias("x"))
 
 
+def price_order(rows: int) -> int:
+    """Order of the smallest square that holds so many rows."""
+    return math.isqrt(rows - 1) + 1 if rows else 0
+
+
+def price_all(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, int]:
+    """As price(), of every row: the cells and the order, the least that holds all rows. Cells behind the last row are zero."""
+    lines = table(spark, sf_dir, "lineitem").select(PRICE_KEY)
+    count = lines.count()
+    n = price_order(count)
+    cents = F.round(F.col("l_extendedprice") * 100).cast("long")
+    given = numbered(lines, PRICE_KEY).select("k", (F.pmod(cents, F.lit(100000)) / 100000.0).alias("x"))
+    cells = given.unionByName(spark.range(count, n * n).select(F.col("id").alias("k"), F.lit(0.0).alias("x")))
+    return cells.select(F.floor(F.col("k") / n).alias("i"), (F.col("k") % n).alias("j"), "x"), n
+
+
 def shifted(cells: DataFrame, s: float) -> DataFrame:
     """The cells of x + s I, for cells that hold the whole diagonal."""
     return cells.select("i", "j", (F.col("x") + F.when(F.col("i") == F.col("j"), F.lit(float(s))).otherwise(0.0)).alias("x"))

@@ -21,3 +21,22 @@ def test_kernel_takes_every_row(spark, tmp_path):
     queries = entry.queries()
     assert np.abs(cells(queries["q_kernel_cells_all"](spark, str(tmp_path)).collect(), n) - want).max() < 1e-7
     assert np.abs(cells(queries["q_quadinv_kernel_all"](spark, str(tmp_path)).collect(), n) - np.linalg.inv(want + np.eye(n))).max() < 1e-7
+
+
+def test_price_takes_every_row(spark, tmp_path):
+    rows = 130 * 130 + 7  # more than 128 x 128, and no square: the order is 131
+    draw = np.random.default_rng(6)
+    prices = np.round(draw.random(rows) * 90000 + 900, 2)
+    lines = [(k // 4, k % 4, 1, 1, float(x)) for k, x in enumerate(prices)]
+    draw.shuffle(lines)
+    ddl = "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_extendedprice double"
+    spark.createDataFrame([(int(a), int(b), int(c), int(e), float(x)) for a, b, c, e, x in lines], ddl).write.parquet(f"{tmp_path}/lineitem.parquet")
+    want = np.zeros(131 * 131)
+    want[:rows] = np.round(prices * 100).astype(np.int64) % 100000 / 100000
+    want = want.reshape(131, 131)
+    queries = entry.queries()
+    run = lambda name: cells(queries[name](spark, str(tmp_path)).collect(), 131)
+    assert np.abs(run("q_price_cells_all") - want).max() < 1e-7
+    assert np.abs(run("q_multiply_price_all") - want @ want).max() < 1e-5
+    inverse = np.linalg.inv(want + 131 * np.eye(131))
+    assert np.abs(run("q_quadinv_price_dom_all") - inverse).max() < 1e-9 and np.abs(run("q_blocklu_price_dom_all") - inverse).max() < 1e-9
