@@ -6,8 +6,9 @@ the terms present and the inner products of all pairs of their vectors, so that
 means alone. The pairs are summed in linear time as half the square of the sum less the sum of squares.
 
 The machine learns from at most `sample_rows` labelled documents of each label. Only slots whose documents bear the label
-significantly more or less often than others get a weight and factors; all others stay zero, so that the many words of a long
-text that have nothing to do with the label say nothing, met before or not. Null and empty texts have no terms and the score of the bias alone.
+significantly more or less often than others, by themselves or together with another slot than with either alone, get a weight
+and factors; all others stay zero, so that the many words of a long text that have nothing to do with the label say nothing,
+met before or not. Null and empty texts have no terms and the score of the bias alone.
 Without labels, or with one only, the score is the smoothed share of label 1. Repeated documents score alike.
 """
 
@@ -30,6 +31,9 @@ PREFIXES = (4, 5, 6)
 SAMPLE_ROWS = 4_000
 TOXIC_FROM = 0.5
 LEAST_DOCS, LEAST_Z = 3, 4.0
+#: Chance, over all pairs of slots, of taking one for significant that isn't.
+PAIR_CHANCE = 0.01
+PAIR_BLOCK = 1024
 WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -83,6 +87,66 @@ def significant(terms: list[np.ndarray], y: np.ndarray) -> np.ndarray:
     return (met >= LEAST_DOCS) & (z >= LEAST_Z)
 
 
+def _surprise(bad: np.ndarray, met: np.ndarray, share: np.ndarray) -> np.ndarray:
+    """Signed -log of the bound (Chernoff's) on the chance of so many or few of label 1 among met documents at the given share."""
+    own = bad / np.maximum(met, 1)
+    with np.errstate(divide="ignore", invalid="ignore"):
+        apart = np.where(own > 0, own * np.log(own / share), 0) + np.where(own < 1, (1 - own) * np.log((1 - own) / (1 - share)), 0)
+    return np.sign(own - share) * met * apart
+
+
+def paired(terms: list[np.ndarray], y: np.ndarray) -> np.ndarray:
+    """Slots of pairs whose common documents bear label 1 significantly more, or less, often than the documents of either slot.
+
+    A pair is in no more documents than its slots, so slots too rare for any pair of theirs to be significant are left out
+    beforehand. The others are compared all with all, block by block.
+    """
+    slots = 1 << BITS
+    chosen = np.zeros(slots, bool)
+    size = np.fromiter(map(len, terms), np.int64, len(terms))
+    flat, row = np.concatenate(terms), np.repeat(np.arange(len(terms)), size)
+    met, bad = np.bincount(flat, minlength=slots), np.bincount(flat, y[row], minlength=slots)
+    share = np.clip((bad + y.mean()) / (met + 1), 1e-12, 1 - 1e-12)
+    most = np.maximum(-bad * np.log(share), -(met - bad) * np.log(1 - share))  # where all documents of one label are common, and no others
+    least, used = np.log(2 / PAIR_CHANCE), np.empty(0, np.int64)
+    for _ in range(8):  # fewer slots make fewer pairs, and more pairs ask for more documents
+        bound = least + np.log(max(len(used) or (met > 1).sum(), 2.0)) * 2 - np.log(2)
+        used, before = np.flatnonzero(most >= bound), used
+        if len(used) == len(before):
+            break
+    at = np.full(slots, -1)
+    at[used] = np.arange(len(used))
+    known = at[flat] >= 0
+    place, row = at[flat[known]], row[known]
+    order = np.argsort(place, kind="stable")
+    place, row = place[order], row[order]
+
+    def block(i: int) -> np.ndarray:
+        begin, end = np.searchsorted(place, (i, i + PAIR_BLOCK))
+        out = np.zeros((len(y), min(PAIR_BLOCK, len(used) - i)), np.float32)
+        out[row[begin:end], place[begin:end] - i] = 1
+        return out
+
+    for i in range(0, len(used), PAIR_BLOCK):
+        one = block(i)
+        toxic = one * y[:, None].astype(np.float32)
+        for j in range(i, len(used), PAIR_BLOCK):
+            two = one if j == i else block(j)
+            met_by, bad_by = one.T @ two, toxic.T @ two
+            a, b = used[i : i + one.shape[1]], used[j : j + two.shape[1]]
+            near = np.ones(met_by.shape, bool)
+            for s in (share[a][:, None].astype(np.float32), share[b].astype(np.float32)):
+                off = bad_by - met_by * s  # the chi-square is never below the bound that decides, and takes no logarithms
+                near &= off * off >= np.float32(0.99 * bound) * met_by * (s * (1 - s))
+            p, q = np.nonzero(near & (met_by > 0))
+            n, bad = met_by[p, q].astype(float), bad_by[p, q].astype(float)
+            for sign in (1, -1):
+                sure = (sign * _surprise(bad, n, share[a[p]]) >= bound) & (sign * _surprise(bad, n, share[b[q]]) >= bound)
+                chosen[a[p[sure]]] = True
+                chosen[b[q[sure]]] = True
+    return chosen
+
+
 def learn(terms: list[np.ndarray], y: np.ndarray, epochs: int = 15, batch: int = 64, rate: float = 0.02, ridge: float = 1e-4, seed: int = 11) -> Machine:
     """Adam on the logistic loss, with both labels weighed to equal shares."""
     slots = 1 << BITS
@@ -91,7 +155,7 @@ def learn(terms: list[np.ndarray], y: np.ndarray, epochs: int = 15, batch: int =
     if not len(y) or y.min() == y.max():
         return machine
     draw = np.random.default_rng(seed)
-    chosen = significant(terms, y)
+    chosen = significant(terms, y) | paired(terms, y)
     used = np.flatnonzero(chosen)
     terms = [t[chosen[t]] for t in terms]
     machine.bias = 0.0
