@@ -2,16 +2,19 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .operators import ops
-from .operators.blocks import BlockFrame, arrays, from_coo, pad, to_coo, to_numpy
+from .operators.blocks import BlockFrame, arrays, from_coo, to_coo, to_numpy
 from .operators.gemm import BROADCAST_BYTES, multiply
 from .operators.invert import InvertOptions, quad_inverse
 from .plans.lineage import materialize
+from .plans.trace import RunTrace
 
 
 def matvec(a: BlockFrame, x: DataFrame) -> DataFrame:
@@ -62,30 +65,18 @@ def mahalanobis(vectors: DataFrame, key: str, column: str, inverse: BlockFrame,
     return vectors.filter(F.col(column).isNotNull()).select(key, column).mapInArrow(run, f"{key} {kind}, d2 double")
 
 
-def _block_logdet(a: BlockFrame) -> tuple[float, float]:
-    """(sign, log of the absolute determinant) of a matrix of one block, computed where the block lies."""
+def logdet(a: BlockFrame, opts: InvertOptions | None = None) -> tuple[float, float]:
+    """(sign, log of the absolute determinant), a by-product of the inverse: its leaves' determinants, inverted, and the sign of
+    each complement that was turned. The inverse is probed like any other; an ArithmeticError where a leading block is singular or nearly so.
+    """
+    trace = RunTrace()
+    quad_inverse(a, replace(opts or InvertOptions(), leaf_blocks=1, keep_leaves=True, on_singular="raise", trace=trace))
 
     def run(batches):
         for batch in batches:
             found = [np.linalg.slogdet(b) for b in arrays(batch)]
             yield pa.RecordBatch.from_arrays([pa.array([float(f[0]) for f in found]), pa.array([float(f[1]) for f in found])], names=["sign", "log"])
 
-    row = a.df.mapInArrow(run, "sign double, log double").first()
-    return row.sign, row.log
-
-
-def logdet(a: BlockFrame, opts: InvertOptions | None = None) -> tuple[float, float]:
-    """(sign, log of the absolute determinant) through the Schur complements of the recursion."""
-    opts = opts or InvertOptions()
-    padded = pad(a)
-
-    def down(m: BlockFrame) -> tuple[float, float]:
-        if m.meta.grid_rows == 1:
-            return _block_logdet(m)
-        m = m.of(materialize(m.df, opts.materialize))
-        e, f, g, h = (ops.quadrant(m, x, y) for x in (1, 2) for y in (1, 2))
-        right = multiply(quad_inverse(e, opts), f)
-        one, two = down(e), down(multiply(g, right, alpha=-1.0, beta=1.0, c=h))
-        return one[0] * two[0], one[1] + two[1]
-
-    return down(padded.of(padded.df, logical_rows=padded.meta.rows, logical_cols=padded.meta.rows))
+    leaves = reduce(DataFrame.unionByName, [leaf.df for leaf in trace.leaves])
+    row = leaves.mapInArrow(run, "sign double, log double").agg(F.product("sign").alias("sign"), F.sum("log").alias("log")).first()
+    return row.sign * (-1.0) ** trace.turned, -row.log

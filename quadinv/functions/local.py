@@ -5,6 +5,35 @@ from __future__ import annotations
 import numpy as np
 
 SOLVERS = ("lu", "qr", "svd", "cholesky", "gauss_jordan")
+#: Largest probed residual |A X v - v| of an inverse that is returned.
+TOLERANCE = 1e-6
+#: Sign vectors by which an inverse is probed.
+PROBES = 8
+
+
+def signs(start: int, rows: int) -> np.ndarray:
+    """Rows start, start + 1, ... of the probe vectors: signs by index arithmetic, the same wherever they are made."""
+    at = np.arange(start, start + rows, dtype=np.uint64)[:, None] * np.uint64(PROBES) + np.arange(1, PROBES + 1, dtype=np.uint64)
+    with np.errstate(over="ignore"):
+        at = at * np.uint64(0x9E3779B97F4A7C15)
+        at = (at ^ (at >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        at = (at ^ (at >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return 1.0 - 2.0 * (at >> np.uint64(63)).astype(float)
+
+
+def probed(a: np.ndarray, x: np.ndarray) -> float:
+    """Largest absolute entry of a (x v) - v over the probe vectors; infinite where x isn't finite."""
+    v = signs(0, len(a))
+    with np.errstate(all="ignore"):
+        off = float(np.abs(a @ (x @ v) - v).max(initial=0.0))
+    return off if np.isfinite(off) else float("inf")
+
+
+def rcond(a: np.ndarray, x: np.ndarray) -> float:
+    """Reciprocal condition of a in the 1-norm, from its computed inverse x."""
+    with np.errstate(all="ignore"):
+        both = np.abs(a).sum(axis=0).max(initial=0.0) * np.abs(x).sum(axis=0).max(initial=0.0)
+    return 1.0 / both if np.isfinite(both) and both > 0 else 0.0
 
 
 def _by_lu(a: np.ndarray) -> np.ndarray:
@@ -51,12 +80,15 @@ _BY = {"lu": _by_lu, "qr": _by_qr, "svd": _by_svd, "cholesky": _by_cholesky, "ga
 
 
 def inverse(a: np.ndarray, solver: str = "lu") -> np.ndarray:
-    """Inverse of a square array; LinAlgError where it is singular (or, for cholesky, not positive definite)."""
+    """Inverse of a square array; LinAlgError where it is singular to working precision (or, for cholesky, not positive definite)."""
     if a.ndim != 2 or a.shape[0] != a.shape[1]:
         raise ValueError(f"not square: {a.shape}")
     if solver not in _BY:
         raise ValueError(f"unknown solver {solver!r}")
-    return _BY[solver](a)
+    x = _BY[solver](a)
+    if len(a) and rcond(a, x) < np.finfo(float).eps:
+        raise np.linalg.LinAlgError("singular to working precision")
+    return x
 
 
 def inverse_or_nan(a: np.ndarray, solver: str = "lu") -> np.ndarray:
@@ -77,19 +109,32 @@ def lu_unpivoted(a: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.tril(work, -1) + np.eye(n), np.triu(work)
 
 
-def quad_invert(a: np.ndarray, threshold: int, leaf: str = "lu") -> np.ndarray:
-    """Serial quadrant inversion: the plain solver below the threshold, else six half-size products.
-
-    With a = [[e, f], [g, h]] the complement of e is inverted with its sign turned, which gives both off-diagonal quadrants
-    of the result their sign. Odd orders are halved unevenly.
-    """
+def _quartered(a: np.ndarray, threshold: int, leaf: str) -> np.ndarray:
     n = len(a)
     if n <= max(1, threshold):
         return inverse(a, leaf)
     k = n // 2
     e, f, g, h = a[:k, :k], a[:k, k:], a[k:, :k], a[k:, k:]
-    p = quad_invert(e, threshold, leaf)
+    p = _quartered(e, threshold, leaf)
     left, right = g @ p, p @ f
-    q = quad_invert(g @ right - h, threshold, leaf)
+    q = _quartered(g @ right - h, threshold, leaf)
     bottom = q @ left
     return np.block([[p - right @ bottom, right @ q], [bottom, -q]])
+
+
+def quad_invert(a: np.ndarray, threshold: int, leaf: str = "lu", tolerance: float = TOLERANCE) -> np.ndarray:
+    """Serial quadrant inversion: the plain solver below the threshold, else six half-size products.
+
+    With a = [[e, f], [g, h]] the complement of e is inverted with its sign turned, which gives both off-diagonal quadrants
+    of the result their sign. Odd orders are halved unevenly. LinAlgError where a leading block, or the whole, is singular or so
+    near it that the probed residual is over tolerance; two Newton steps are tried first.
+    """
+    x = _quartered(a, threshold, leaf)
+    for _ in range(2):
+        off = probed(a, x)
+        if off <= tolerance or off >= 0.5:
+            break
+        x = 2 * x - x @ (a @ x)
+    if not probed(a, x) <= tolerance:
+        raise np.linalg.LinAlgError("a leading block is singular or nearly so")
+    return x

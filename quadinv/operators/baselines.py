@@ -13,8 +13,9 @@ from ..plans.lineage import materialize
 from . import ops
 from .blocks import BLOCK_DDL, BlockFrame, arrays, pad, record
 from .gemm import BROADCAST_BYTES, multiply
-from .invert import InvertOptions, _cropped, _finite
+from .invert import InvertOptions, _cropped
 from .leaf import invert_leaf
+from .verify import verified
 
 
 def local_inverse(a: BlockFrame, solver: str = "lu") -> BlockFrame:
@@ -35,6 +36,7 @@ def gauss_jordan_blocks(a: BlockFrame, opts: InvertOptions | None = None) -> Blo
     if not a.meta.square:
         raise ValueError("only a square matrix has an inverse")
     now = materialize(a.df, opts.materialize)
+    source = a.of(now, logical_rows=a.meta.rows, logical_cols=a.meta.rows)
     for k in range(a.meta.grid_rows):
         strip = 8 * size * a.meta.rows
         pivot = now.filter((F.col("bi") == k) & (F.col("bj") == k)).select(F.col("v").alias("p"))
@@ -55,8 +57,7 @@ def gauss_jordan_blocks(a: BlockFrame, opts: InvertOptions | None = None) -> Blo
 
         now = materialize(both.mapInArrow(run, BLOCK_DDL), opts.materialize)
     out = a.of(now)
-    if not _finite(out):
-        raise ArithmeticError("a leading block of the matrix is singular")
+    verified(source, out, opts.tolerance, "a leading block of the matrix is singular or nearly so")
     return _cropped(out, n, a)
 
 
@@ -119,6 +120,5 @@ def cholesky_blocks(a: BlockFrame, opts: InvertOptions | None = None) -> BlockFr
     inner = inner.of(materialize(inner.df, opts.materialize))
     out = multiply(ops.transpose(inner), inner)
     out = out.of(materialize(out.df, opts.materialize))
-    if not _finite(out):
-        raise ArithmeticError("the matrix is not positive definite")
+    verified(padded, out, opts.tolerance, "the matrix is not positive definite, or badly conditioned")
     return _cropped(out, n, a)

@@ -3,7 +3,7 @@
 Only its operation counts are published, so this is a reconstruction that follows them: two LU factorizations, four triangular
 inversions and three products in a base call of 2 x 2 blocks; compositions of four products and two scalings; seven half-size
 products at the end. An inner node needs three products of its own here, one less than the published four, whose use is not
-given. No pivoting between blocks.
+given. No pivoting between blocks; the result is probed, and an error raised where a leading block was singular or nearly so.
 """
 
 from __future__ import annotations
@@ -19,8 +19,9 @@ from ..plans.lineage import materialize
 from . import ops
 from .blocks import BLOCK_DDL, BlockFrame, arrays, pad, record
 from .gemm import multiply
-from .invert import InvertOptions, _cropped, _finite, _tagged
+from .invert import InvertOptions, _cropped, _tagged
 from .leaf import invert_leaf
+from .verify import verified
 
 #: What a base call gives, by the number under which its blocks are sent.
 PIECES = ("l1i", "u1i", "l21", "u12", "l2i", "u2i", "l1", "u1", "l2", "u2")
@@ -155,6 +156,5 @@ def lu_inverse(a: BlockFrame, opts: InvertOptions | None = None) -> BlockFrame:
         corner = run.product(0, "end", second["pz"], first["m"], alpha=1.0, beta=1.0, c=first["k"])
         out = ops.assemble(corner, ops.negate(second["pz"]), ops.negate(second["zm"]), first["z"])
     out = out.of(materialize(out.df, opts.materialize))
-    if not _finite(out):
-        raise ArithmeticError("a leading block of the matrix is singular")
+    opts.trace.residual = verified(source, out, opts.tolerance, "a leading block of the matrix is singular or nearly so")
     return _cropped(out, n, a)

@@ -5,8 +5,10 @@ N = G P F - H (Q = inverse of N). With Lp = G P and R = P F the inverse is [[P -
 two subtractions a level, one local inversion a leaf. The recursion runs on the driver over metadata; each node's results that
 are read more than once are materialised together, so that a plan spans one node at most.
 
-No pivoting between blocks: a singular leading quadrant spoils the result, which is then found to be not finite. The
-normal-equation way, inv(A'A) A', is the way out for such a matrix that has an inverse.
+No pivoting between blocks: a leading quadrant that is singular, or nearly so, spoils the result. A leaf that is singular to working
+precision becomes NaN, and every result is probed (see verify) before it is returned: Newton steps mend a residual that is
+small already; else the normal equations, inv(A'A) A', whose leading blocks are regular whenever A is, are taken, mended and
+probed in their turn, or an error is raised. Nothing over the tolerance is returned.
 """
 
 from __future__ import annotations
@@ -17,12 +19,14 @@ from dataclasses import dataclass, field, replace
 from pyspark import inheritable_thread_target
 from pyspark.sql import functions as F
 
+from ..functions.local import TOLERANCE
 from ..plans.lineage import materialize
 from ..plans.trace import RunTrace
 from . import ops
 from .blocks import BlockFrame, crop, identity, pad
 from .gemm import multiply
 from .leaf import invert_leaf
+from .verify import probed_residual
 
 
 @dataclass(frozen=True)
@@ -36,14 +40,18 @@ class InvertOptions:
     cells: int | None = None
     fuse: bool = True  # subtraction inside of the product
     on_singular: str = "normal"  # or raise
-    refine: int = 0  # steps of X (2I - AX)
+    tolerance: float = TOLERANCE  # of the probed residual of what is returned
+    refine: int = 0  # steps of X (2I - AX), beside those that the tolerance asks for
     parallel_panels: bool = False  # independent products from two threads
     materialize: str = "reliable"  # or parquet, persist
     symmetric: bool = False  # A = A': left panel and lower corner are transposes, four products a level
     timed: bool = False  # materialise after each step and time it
+    keep_leaves: bool = False  # leave the leaves' inverses in the trace
     trace: RunTrace = field(default_factory=RunTrace, compare=False)
 
 
+#: Newton steps that are tried before the inverse is given up. From MENDABLE on they don't converge.
+MENDING_STEPS, MENDABLE = 4, 0.5
 #: Quadrants up to this size aren't worth a job of their own where they are read twice only.
 SMALL_BYTES = 4 << 20
 
@@ -92,7 +100,11 @@ class _Run:
         opts, k = self.opts, a.meta.grid_rows
         size = a.meta.rows * a.meta.cols
         if k <= opts.leaf_blocks:
-            return self.step(level, node, "leaf", lambda: invert_leaf(a, opts.leaf_solver, opts.leaf_site), size)
+            out = self.step(level, node, "leaf", lambda: invert_leaf(a, opts.leaf_solver, opts.leaf_site), size)
+            if opts.keep_leaves:
+                out = self.keep(out)
+                self.trace.leaves.append(out)
+            return out
         self.step(level, node, "split", lambda: None, size)
         e, f, g, h = (self.step(level, node, "quadrant", lambda x=x, y=y: ops.quadrant(a, x, y, opts.split_mode), size // 4) for x in (1, 2) for y in (1, 2))
         p = self.keep(self.node(e, level + 1, node + "0"))
@@ -105,6 +117,7 @@ class _Run:
         left, right = panels["left"], panels["right"]
         plain = opts.schur == "plain"
         n = self.difference(level, node, g, right, h, turned=plain)
+        self.trace.turned += 0 if plain else n.meta.rows
         q = self.keep(self.node(n if k == 2 * opts.leaf_blocks else self.keep(n), level + 1, node + "1"))
         upper = self.product(level, node, right, q)
         small = upper.meta.bytes <= SMALL_BYTES
@@ -128,10 +141,6 @@ class _Run:
         return a if self.opts.timed else a.of(materialize(a.df, self.opts.materialize))
 
 
-def _finite(a: BlockFrame) -> bool:
-    return not a.df.filter(F.exists("v", lambda x: F.isnan(x) | (F.abs(x) == F.lit(float("inf"))))).limit(1).count()
-
-
 def quad_inverse(a: BlockFrame, opts: InvertOptions | None = None) -> BlockFrame:
     """Inverse of a square a; its grid is padded to a power of two times leaf_blocks and the result cropped again."""
     opts = opts or InvertOptions()
@@ -149,15 +158,31 @@ def quad_inverse(a: BlockFrame, opts: InvertOptions | None = None) -> BlockFrame
     source = padded.of(padded.df if padded.meta.grid_rows <= opts.leaf_blocks else materialize(padded.df, opts.materialize), **whole)
     out = _Run(opts).node(source, 0, "r")
     out = out.of(materialize(out.df, opts.materialize), symmetric=a.meta.symmetric)
-    if not _finite(out):
-        if opts.on_singular == "raise":
-            raise ArithmeticError("a leading block of the matrix is singular")
-        return _normal(source, replace(opts, on_singular="raise", symmetric=True), n)
     for _ in range(opts.refine):
         out = out.of(materialize(refined(source, out, opts).df, opts.materialize))
+    out, off = mended(source, out, opts)
+    if not off <= opts.tolerance:
+        if opts.on_singular == "raise":
+            raise ArithmeticError(f"a leading block of the matrix is singular or nearly so: residual {off:.3g}")
+        out = _normal(source, opts)
     return _cropped(out, n, a)
 
 
+def mended(a: BlockFrame, x: BlockFrame, opts: InvertOptions) -> tuple[BlockFrame, float]:
+    """x, after as many Newton steps as its probed residual asks for and can gain by, and that residual."""
+    off = probed_residual(a, x)
+    for _ in range(MENDING_STEPS):
+        if off <= opts.tolerance or off >= MENDABLE:
+            break
+        better = x.of(materialize(refined(a, x, opts).df, opts.materialize))
+        new = probed_residual(a, better)
+        if new >= off:
+            break
+        x, off = better, new
+    opts.trace.residual = off
+    return x, off
+
+
 def _cropped(out: BlockFrame, n: int, a: BlockFrame) -> BlockFrame:
     return crop(out, n) if (out.meta.logical_rows, out.meta.grid_rows) != (n, a.meta.grid_rows) else out
 
@@ -168,16 +193,20 @@ def refined(a: BlockFrame, x: BlockFrame, opts: InvertOptions) -> BlockFrame:
     return multiply(x, ax, opts.strategy, alpha=-1.0, beta=2.0, c=x, cells=opts.cells)
 
 
-def _normal(a: BlockFrame, opts: InvertOptions, n: int) -> BlockFrame:
-    """inv(A'A) A': the leading blocks of A'A are regular whenever A is."""
+def _normal(a: BlockFrame, opts: InvertOptions) -> BlockFrame:
+    """inv(A'A) A': the leading blocks of A'A are regular whenever A is. Its condition is squared, hence the mending by A itself."""
+    failed = ArithmeticError("the matrix is singular, or too badly conditioned")
     t = a.of(materialize(ops.transpose(a).df, opts.materialize))
     square = multiply(t, a, opts.strategy, cells=opts.cells)
     try:
-        inner = quad_inverse(square.of(square.df, symmetric=True), opts)
+        inner = quad_inverse(square.of(square.df, symmetric=True), replace(opts, on_singular="raise", symmetric=True, refine=0, tolerance=MENDABLE, trace=RunTrace(method="normal")))
     except ArithmeticError:
-        raise ArithmeticError("the matrix is singular") from None
+        raise failed from None
     whole = multiply(inner, t, opts.strategy, cells=opts.cells)
-    return crop(whole.of(materialize(whole.df, opts.materialize), symmetric=False), n)
+    out, off = mended(a, whole.of(materialize(whole.df, opts.materialize), symmetric=False), opts)
+    if not off <= opts.tolerance:
+        raise failed
+    return out
 
 
 def check_residual(a: BlockFrame, x: BlockFrame) -> BlockFrame:

@@ -17,6 +17,9 @@ class RunTrace:
     method: str = "quadinv"
     n: int = 0
     b: int = 0
+    residual: float = 0.0  # probed, of the inverse that was returned
+    leaves: list = field(default_factory=list)  # inverses of the leaves, if asked for
+    turned: int = 0  # orders of all complements whose sign was turned
     rows: list[tuple] = field(default_factory=list)
 
     def add(self, level: int, node: str, op: str, calls: int = 1, elements: int = 0, ms: float = 0.0) -> None:

@@ -6,8 +6,8 @@ from hypothesis import HealthCheck, given, settings
 from hypothesis import strategies as st
 
 from quadinv import apps
-from quadinv.functions.local import SOLVERS, inverse, lu_unpivoted, quad_invert
-from quadinv.operators import baselines, blocklu, ops
+from quadinv.functions.local import SOLVERS, inverse, lu_unpivoted, probed, quad_invert
+from quadinv.operators import baselines, blocklu, ops, verify
 from quadinv.operators.blocks import from_coo, from_numpy, to_coo, to_numpy
 from quadinv.operators.invert import InvertOptions, quad_inverse
 from quadinv.plans import costmodel
@@ -83,6 +83,71 @@ def test_singular(spark):
         blocklu.lu_inverse(matrices.swap(spark, 8, 2))
 
 
+def nearly_singular(n, seed):
+    """A well-conditioned matrix whose leading quadrant lacks one rank, but for rounding."""
+    draw, h = np.random.default_rng(seed), n // 2
+    a = draw.standard_normal((n, n))
+    u, s, v = np.linalg.svd(a[:h, :h])
+    s[-1] = 0.0
+    a[:h, :h] = (u * s) @ v
+    return a
+
+
+@pytest.mark.parametrize("n, b, seed", [(64, 2, 0), (64, 4, 1), (128, 2, 2), (128, 4, 3)])
+def test_nearly_singular_leading_block(spark, n, b, seed):
+    a = nearly_singular(n, seed)
+    frame = from_numpy(spark, a, n // b)
+    opts = InvertOptions()
+    x = to_numpy(quad_inverse(frame, opts))
+    assert np.abs(a @ x - np.eye(n)).max() < 1e-6 and np.abs(x - inverse(a, "gauss_jordan")).max() < 1e-6 * np.abs(x).max()
+    for way in (lambda f: quad_inverse(f, InvertOptions(on_singular="raise")), blocklu.lu_inverse, baselines.gauss_jordan_blocks, apps.logdet):
+        with pytest.raises(ArithmeticError):
+            way(frame)
+    with pytest.raises(np.linalg.LinAlgError):
+        quad_invert(a, n // b)
+
+
+def test_small_pivot_is_mended(spark):
+    """A leading quadrant that is badly conditioned, but regular: Newton steps bring the residual under the tolerance."""
+    a = nearly_singular(16, 5)
+    u, s, v = np.linalg.svd(a[:8, :8])
+    s[-1] = 1e-6
+    a[:8, :8] = (u * s) @ v
+    opts = InvertOptions(on_singular="raise", tolerance=1e-11)
+    x = to_numpy(quad_inverse(from_numpy(spark, a, 4), opts))
+    assert opts.trace.residual <= 1e-11 and np.abs(a @ x - np.eye(16)).max() < 1e-10
+
+
+def test_too_badly_conditioned_for_any_way(spark):
+    with pytest.raises(ArithmeticError):
+        quad_inverse(matrices.hilbert(spark, 16, 4))
+
+
+@pytest.mark.parametrize("driver_bytes, broadcast_bytes", [(1 << 30, 1 << 30), (0, 1 << 30), (0, 0)])
+def test_probed_residual(spark, monkeypatch, driver_bytes, broadcast_bytes):
+    monkeypatch.setattr(verify, "DRIVER_BYTES", driver_bytes)
+    monkeypatch.setattr(verify, "BROADCAST_BYTES", broadcast_bytes)
+    a = dominant(12)
+    x = np.linalg.inv(a)
+    good = verify.probed_residual(from_numpy(spark, a, 4), from_numpy(spark, x, 4))
+    assert good < 1e-12
+    x[7, 3] += 1e-3
+    off = verify.probed_residual(from_numpy(spark, a, 4), from_numpy(spark, x, 4))
+    assert np.isclose(off, probed(a, x)) and off > 1e-4
+    x[0, 0] = np.nan
+    assert verify.probed_residual(from_numpy(spark, a, 4), from_numpy(spark, x, 4)) == float("inf")
+
+
+@pytest.mark.parametrize("b", [1, 2, 4, 8])
+def test_logdet_of_leaves(spark, b):
+    for seed in range(2):
+        a = np.random.default_rng(seed).standard_normal((8, 8)) + np.diag([3, -3, 3, 3, -3, 3, 3, 3])
+        sign, log = np.linalg.slogdet(a)
+        for opts in (InvertOptions(), InvertOptions(schur="plain")):
+            got = apps.logdet(from_numpy(spark, a, 8 // b), opts)
+            assert got[0] == sign and abs(got[1] - log) < 1e-8
+
+
 def test_not_square(spark):
     with pytest.raises(ValueError):
         quad_inverse(from_numpy(spark, np.ones((4, 6)), 2))
