@@ -24,6 +24,8 @@ STRATEGIES = ("grid3d", "replicate", "contract", "broadcast", "cells", "seven_pr
 CELL_BYTES = 192 << 20
 #: Largest operand that is broadcast.
 BROADCAST_BYTES = 64 << 20
+#: Multiplications below which a task isn't divided for the sake of idle cores.
+LEAST_WORK = 1 << 27
 
 
 def _product_meta(a: BlockFrame, b: BlockFrame) -> dict:
@@ -61,30 +63,32 @@ def _summed(parts: DataFrame) -> DataFrame:
     return parts.mapInArrow(local, BLOCK_DDL).groupBy("bi", "bj").applyInArrow(final, BLOCK_DDL)
 
 
-def cell_size(a: BlockFrame, b: BlockFrame, cell_bytes: int = CELL_BYTES, parallelism: int = 1) -> int:
-    """Blocks a side of a cell: as many as a task's memory bears, but fewer where that would leave cores idle."""
-    block = 8 * a.meta.block**2
-    side = max(1, int((cell_bytes / (3 * block)) ** 0.5))
-    most = max(a.meta.grid_rows, a.meta.grid_cols, b.meta.grid_cols)
-    side = min(side, most)
-    work = a.meta.rows * a.meta.cols * b.meta.cols
-    while side > 1 and work > 2**31 and -(-a.meta.grid_rows // side) * -(-b.meta.grid_cols // side) < parallelism:
-        side = -(-side // 2)
-    return side
-
-
-def _grid3d(a: BlockFrame, b: BlockFrame, side: int, alpha: float, beta: float, c: BlockFrame | None) -> DataFrame:
-    high, wide, deep = (-(-x // side) for x in (a.meta.grid_rows, b.meta.grid_cols, a.meta.grid_cols))
-    i, j, t = F.col("bi"), F.col("bj"), F.lit(0)
-    left = a.df.select(F.floor(i / side).alias("ci"), F.floor(j / side).alias("ct"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(wide - 1).cast("long"))).alias("cj"), "bi", "bj", "nr", "nc", "v")
-    right = b.df.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(high - 1).cast("long"))).alias("ci"), F.floor(i / side).alias("ct"), F.floor(j / side).alias("cj"), "bi", "bj", "nr", "nc", "v")
-    sides = [(left, 0), (right, 1)]
+def cell_shape(rows: int, cols: int, inner: int, block: int, cell_bytes: int = CELL_BYTES, parallelism: int = 1) -> tuple[int, int, int]:
+    """Blocks of a cell in rows, columns and inner blocks: as many as a task's memory bears, but fewer where that would leave cores idle.
+
+    Halving rows or columns sends one operand once more, halving the inner blocks sends partial results: the last resort.
+    """
+    h, w, d = rows, cols, inner
+    while h * w * d > 1 and 8 * block**2 * (h * d + d * w + h * w) > cell_bytes:
+        h, w, d = (-(-h // 2), w, d) if h >= max(w, d) else (h, -(-w // 2), d) if w >= d else (h, w, -(-d // 2))
+    while -(-rows // h) * -(-cols // w) * -(-inner // d) < parallelism and h * w * d * block**3 > LEAST_WORK and max(h, w, d) > 1:
+        h, w, d = (-(-h // 2), w, d) if h >= w and h > 1 else (h, -(-w // 2), d) if w > 1 else (h, w, -(-d // 2))
+    return h, w, d
+
+
+def _spread(name: str, n: int) -> str:
+    """name over 0 .. n - 1, one row each."""
+    return f"explode(sequence(0L, {n - 1}L)) as {name}" if n > 1 else f"0L as {name}"
+
+
+def _grid3d(a: BlockFrame, b: BlockFrame, shape: tuple[int, int, int], alpha: float, beta: float, c: BlockFrame | None) -> DataFrame:
+    h, w, d = shape
+    high, wide, deep = -(-a.meta.grid_rows // h), -(-b.meta.grid_cols // w), -(-a.meta.grid_cols // d)
+    block = ("bi", "bj", "nr", "nc", "v")
+    keyed = a.df.selectExpr(f"bi div {h} as ci", _spread("cj", wide), f"bj div {d} as ct", "0 as side", *block)
+    keyed = keyed.union(b.df.selectExpr(_spread("ci", high), f"bj div {w} as cj", f"bi div {d} as ct", "1 as side", *block))
     if c is not None:
-        sides.append((c.df.select(F.floor(i / side).alias("ci"), t.cast("long").alias("ct"), F.floor(j / side).alias("cj"), "bi", "bj", "nr", "nc", "v"), 2))
-    keyed = None
-    for frame, which in sides:
-        frame = frame.withColumn("side", F.lit(which))
-        keyed = frame if keyed is None else keyed.unionByName(frame)
+        keyed = keyed.union(c.df.selectExpr(f"bi div {h} as ci", f"bj div {w} as cj", "0L as ct", "2 as side", *block))
 
     def cell(key, group):
         found: dict[int, dict[tuple[int, int], np.ndarray]] = {0: {}, 1: {}, 2: {}}
@@ -178,9 +182,9 @@ def multiply(a: BlockFrame, b: BlockFrame, strategy: str = "grid3d", alpha: floa
     if strategy not in STRATEGIES:
         raise ValueError(f"unknown strategy {strategy!r}")
     if strategy == "grid3d":
-        most = max(a.meta.grid_rows, a.meta.grid_cols, b.meta.grid_cols)
-        side = -(-most // cells) if cells else cell_size(a, b, parallelism=a.spark.sparkContext.defaultParallelism)
-        return a.of(_grid3d(a, b, side, alpha, beta, c if beta else None), **meta)
+        size = (a.meta.grid_rows, b.meta.grid_cols, a.meta.grid_cols)
+        shape = tuple(-(-x // cells) for x in size) if cells else cell_shape(*size, a.meta.block, parallelism=a.spark.sparkContext.defaultParallelism)
+        return a.of(_grid3d(a, b, shape, alpha, beta, c if beta else None), **meta)
     if strategy == "replicate":
         out = a.of(_replicate(a, b, alpha), **meta)
     elif strategy == "contract":

@@ -17,7 +17,6 @@ from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, replace
 
 from pyspark import inheritable_thread_target
-from pyspark.sql import functions as F
 
 from ..functions.local import TOLERANCE
 from ..plans.lineage import materialize
@@ -38,6 +37,7 @@ class InvertOptions:
     schur: str = "negated"  # or plain
     strategy: str = "grid3d"  # of the products, see gemm
     cells: int | None = None
+    tiles: int = 1  # parts a side into which blocks are cut for the products, so that these are dealt to more tasks than blocks
     fuse: bool = True  # subtraction inside of the product
     on_singular: str = "normal"  # or raise
     tolerance: float = TOLERANCE  # of the probed residual of what is returned
@@ -65,10 +65,10 @@ def _tagged(frames: dict[str, BlockFrame], opts: InvertOptions) -> dict[str, Blo
             return {k: frames[k].of(d.result()) for k, d in done.items()}
     united = None
     for tag, f in frames.items():
-        part = f.df.withColumn("tag", F.lit(tag))
-        united = part if united is None else united.unionByName(part)
-    held = materialize(united, opts.materialize)
-    return {tag: f.of(held.filter(F.col("tag") == tag).select(ops.BLOCK)) for tag, f in frames.items()}
+        part = f.df.selectExpr(*ops.BLOCK, f"'{tag}' as tag")
+        united = part if united is None else united.union(part)
+    held = materialize(united, opts.materialize, by="tag")
+    return {tag: f.of(held.filter(f"tag = '{tag}'").select(ops.BLOCK)) for tag, f in frames.items()}
 
 
 class _Run:
@@ -154,8 +154,13 @@ def quad_inverse(a: BlockFrame, opts: InvertOptions | None = None) -> BlockFrame
     opts = replace(opts, symmetric=opts.symmetric or a.meta.symmetric)
     opts.trace.n, opts.trace.b = grid * a.meta.block, grid
     padded = pad(a, grid) if grid > a.meta.grid_rows and a.meta.grid_rows > opts.leaf_blocks else a
-    whole = {"logical_rows": padded.meta.rows, "logical_cols": padded.meta.rows}
-    source = padded.of(padded.df if padded.meta.grid_rows <= opts.leaf_blocks else materialize(padded.df, opts.materialize), **whole)
+    padded = padded.of(padded.df, logical_rows=padded.meta.rows, logical_cols=padded.meta.rows)
+    if opts.tiles < 1 or a.meta.block % opts.tiles:
+        raise ValueError(f"blocks of {a.meta.block} have no {opts.tiles} equal parts a side")
+    tiles = opts.tiles if padded.meta.grid_rows > opts.leaf_blocks else 1
+    if tiles > 1:
+        padded, opts = ops.tiled(padded, tiles), replace(opts, leaf_blocks=opts.leaf_blocks * tiles, tiles=1)
+    source = padded.of(materialize(padded.df, opts.materialize))
     out = _Run(opts).node(source, 0, "r")
     out = out.of(materialize(out.df, opts.materialize), symmetric=a.meta.symmetric)
     for _ in range(opts.refine):
@@ -165,7 +170,7 @@ def quad_inverse(a: BlockFrame, opts: InvertOptions | None = None) -> BlockFrame
         if opts.on_singular == "raise":
             raise ArithmeticError(f"a leading block of the matrix is singular or nearly so: residual {off:.3g}")
         out = _normal(source, opts)
-    return _cropped(out, n, a)
+    return _cropped(ops.merged(out, tiles) if tiles > 1 else out, n, a)
 
 
 def mended(a: BlockFrame, x: BlockFrame, opts: InvertOptions) -> tuple[BlockFrame, float]:

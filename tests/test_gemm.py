@@ -5,7 +5,7 @@ import pytest
 
 from quadinv.operators import ops
 from quadinv.operators.blocks import crop, from_numpy, pad, reblock, to_numpy
-from quadinv.operators.gemm import STRATEGIES, cell_size, multiply
+from quadinv.operators.gemm import STRATEGIES, cell_shape, multiply
 from quadinv.plans import expr
 from quadinv.plans.expr import Assemble, Fused, Inverse, Matrix, Mul, Quad, Scale, Transpose, evaluate, simplify
 from quadinv.sources import io
@@ -64,7 +64,7 @@ def test_products_have_no_cross_join(pair):
 
 
 def test_cells_fit_memory(pair):
-    assert cell_size(pair[2], pair[3], cell_bytes=3 * 8 * 4 * 4) == 2
+    assert cell_shape(4, 4, 4, 2, cell_bytes=3 * 8 * 4 * 4) == (2, 2, 2) and cell_shape(4, 4, 4, 512, parallelism=8) == (1, 2, 4) and cell_shape(1, 1, 1, 512, parallelism=8) == (1, 1, 1)
     with pytest.raises(ValueError):
         multiply(pair[2], pad(pair[3], 8))
 

@@ -58,7 +58,7 @@ def test_invariants(spark):
     assert np.allclose(y, y.T) and np.allclose(y, np.linalg.inv(s))
 
 
-@pytest.mark.parametrize("opts", [dict(leaf_blocks=2), dict(split_mode="tagged"), dict(schur="plain"), dict(fuse=False), dict(timed=True), dict(parallel_panels=True), dict(materialize="parquet"), dict(materialize="persist"), dict(strategy="contract"), dict(strategy="replicate"), dict(leaf_site="driver"), dict(refine=1), dict(leaf_solver="svd"), dict(cells=2)])
+@pytest.mark.parametrize("opts", [dict(leaf_blocks=2), dict(split_mode="tagged"), dict(schur="plain"), dict(fuse=False), dict(timed=True), dict(parallel_panels=True), dict(materialize="parquet"), dict(materialize="persist"), dict(strategy="contract"), dict(strategy="replicate"), dict(leaf_site="driver"), dict(refine=1), dict(leaf_solver="svd"), dict(cells=2), dict(tiles=2), dict(tiles=4, leaf_blocks=2)])
 def test_options_agree(spark, opts):
     a = dominant(16)
     assert np.allclose(to_numpy(quad_inverse(from_numpy(spark, a, 4), InvertOptions(**opts))), np.linalg.inv(a))
