@@ -5,14 +5,14 @@ window is kept, and a softmax over these gives the window's language. A text is
 gets the mean of their distributions, the last window by the share of it that the text fills. For prediction, embedding and
 filters are folded into tables over byte pairs, so that a convolution is a few look-ups.
 
-The network learns from some windows of about `sample_docs` texts of each language. A null text, and one without a letter, is
-`und` with score 0. Without any learnable text everything is `und`. Repeated rows are predicted alike.
+The network learns from some windows of about `sample_docs` texts of each language, whatever the number of languages; the driver
+holds one count a language and these windows. A null text, and one without a letter (Unicode category L, in training and in
+prediction; numerals like \u00bd or \u2167 are none), is `und` with score 0. Without any learnable text everything is `und`. Repeated
+rows are predicted alike.
 """
 
 from __future__ import annotations
 
-import re
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -27,9 +27,7 @@ EMBEDDED = 8
 #: Bound of the training sample, in texts of each language (expected number), and windows of each text.
 SAMPLE_DOCS = 300
 SAMPLE_WINDOWS = 5
-MOST_LANGUAGES = 500
 UNKNOWN = "und"
-LETTER = re.compile(r"[^\W\d_]")
 
 
 class Network:
@@ -133,7 +131,7 @@ class Folded:
         np.add.at(total, np.repeat(np.arange(len(texts)), count), each * weight[:, None])
         share = total / np.maximum(total.sum(axis=1, keepdims=True), 1e-12)
         best = share.argmax(axis=1)
-        known = [bool(LETTER.search(t.decode("utf-8", "replace"))) for t in texts]
+        known = [any(map(str.isalpha, t.decode("utf-8", "replace"))) for t in texts]  # exactly the categories L
         return [self.languages[b] if k else UNKNOWN for b, k in zip(best, known)], [float(min(1.0, share[i, b])) if k else 0.0 for i, (b, k) in enumerate(zip(best, known))]
 
 
@@ -145,11 +143,12 @@ def _softmax(x: np.ndarray) -> np.ndarray:
 def training_windows(docs: DataFrame, text: str, lang: str, doc_id: str, sample_docs: int, per_text: int = SAMPLE_WINDOWS) -> DataFrame:
     """(lang, data): windows evenly spread over the texts of about sample_docs documents of each language."""
     labelled = docs.filter(F.col(lang).isNotNull() & F.col(text).rlike(r"\p{L}"))
-    rates = {r.lang: sample_docs / r.n for r in labelled.groupBy(F.col(lang).alias("lang")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(MOST_LANGUAGES).collect()}
+    rates = {r.lang: sample_docs / r.n for r in labelled.groupBy(F.col(lang).alias("lang")).agg(F.count("*").alias("n")).collect()}
     if not rates:
         return docs.sparkSession.createDataFrame([], "lang string, data binary")
     drawn = F.pmod(F.xxhash64(doc_id, F.lit("language")), F.lit(1 << 20)) / float(1 << 20)
-    rate = F.create_map(*[F.lit(x) for pair in sorted(rates.items()) for x in pair])[F.col(lang)]
+    names, shares = zip(*sorted(rates.items()))
+    rate = F.map_from_arrays(F.lit(list(names)), F.lit([float(x) for x in shares]))[F.col(lang)]
 
     def run(batches):
         for batch in batches:
