@@ -1,8 +1,9 @@
 """Quality rules by weak supervision: rules vote or abstain, and a latent-class model weighs their votes.
 
 Each rule says good, bad or nothing about a text. Expectation-maximisation estimates from the votes alone how often each
-rule votes what on good and on bad texts, and the share of good texts; a text's posterior probability of being good decides.
-The corpus reaches the driver only as counts of distinct vote patterns, at most 3 ** rules of them.
+rule votes what on good and on bad texts, and the share of good texts; a text's posterior probability of being good decides, so
+that a symptom which says little is outvoted. The corpus reaches the driver only as counts of distinct vote patterns, at most
+3 ** rules of them. Texts are measured once; votes and measures are kept for the verdict.
 
 Words are `[^\\x20\\x09-\\x0D]+`. Null and empty texts have no words and fail the base test (fewer than 20 words). Repeated
 rows are judged alike. Columns of the documents named as a result column are replaced.
@@ -15,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import covered, extended, mix, renamed, rolling, table, unnamed, with_columns
+from .common import covered, cut, extended, mix, renamed, rolling, table, unnamed, with_columns
 
 SPACES = " \t\n\x0b\x0c\r"
 SYMBOLS = "#*$%&|<>"
@@ -23,11 +24,26 @@ WINDOW = 8
 LEAST_WORDS = 20
 MOST_REPEATED_PERCENT = 30
 KEPT_FROM = 0.5
-MOST_FALSE = 0.001
-ANCHORED = 0.95
 RULES = ("symbols", "capitals", "stutter", "repeated windows", "repeated lines", "length", "word length", "shouting", "separators", "variety", "sentences")
-#: Rules that only ever say bad; the others say either.
-SYMPTOMS = (0, 1, 2, 3, 4, 6, 7, 8)
+#: Prior guesses of each rule's votes: P(bad, good | good text) and P(bad, good | bad text); the rest abstains.
+GUESSES = (
+    ((0.0001, 0.0), (0.2, 0.0)),
+    ((0.0001, 0.0), (0.2, 0.0)),
+    ((0.0001, 0.0), (0.2, 0.0)),
+    ((0.0001, 0.0), (0.2, 0.0)),
+    ((0.005, 0.0), (0.05, 0.0)),  # lists and verse repeat lines too
+    ((0.02, 0.8), (0.2, 0.5)),
+    ((0.0001, 0.0), (0.2, 0.0)),
+    ((0.0001, 0.0), (0.2, 0.0)),
+    ((0.0001, 0.0), (0.2, 0.0)),
+    ((0.02, 0.8), (0.2, 0.5)),
+    ((0.02, 0.8), (0.2, 0.5)),
+)
+SHARE_GUESS = 0.9
+#: What the guesses count, as multiples of all texts, so that the verdict doesn't depend on how many there are. How seldom good texts
+#: show a symptom is known well, for the rules were written so; if it weren't, a rare symptom that comes without the common ones would
+#: be taken for a habit of good texts. Less is known of the rules that say either, and of what bad texts are like.
+SYMPTOM_WEIGHT, EITHER_WEIGHT, BAD_WEIGHT, SHARE_WEIGHT = 10.0, 0.02, 0.01, 0.05
 GOOD, BAD, ABSTAIN = 1, 0, 2
 
 
@@ -101,96 +117,91 @@ def _pattern(votes: tuple[int, ...]) -> int:
     return code
 
 
-def vote_counts(docs: DataFrame, text: str = "text") -> DataFrame:
-    """(pattern, n): how many texts have each pattern of votes; base failures are left out, for they are decided already."""
-
-    def run(batches):
-        for batch in batches:
-            count: dict[int, int] = {}
-            for value in batch.column(0).to_pylist():
-                base, votes = measured(value)
-                if not base_failed(base):
-                    key = _pattern(votes)
-                    count[key] = count.get(key, 0) + 1
-            yield pa.RecordBatch.from_arrays([pa.array(list(count), pa.int64()), pa.array(list(count.values()), pa.int64())], names=["pattern", "n"])
-
-    return docs.select(text).mapInArrow(run, "pattern long, n long").groupBy("pattern").agg(F.sum("n").alias("n"))
-
-
 def base_failed(base: tuple[int, ...]) -> bool:
     return base[0] < LEAST_WORDS or 100 * base[4] > MOST_REPEATED_PERCENT * base[0]
 
 
-def posteriors(patterns: np.ndarray, counts: np.ndarray, rules: int = len(RULES), turns: int = 200) -> tuple[np.ndarray, np.ndarray, float]:
+def guesses() -> np.ndarray:
+    """GUESSES as [class, rule, vote]."""
+    out = np.empty((2, len(RULES), 3))
+    for r, pair in enumerate(GUESSES):
+        for c, (bad, good) in zip((GOOD, BAD), pair):
+            out[c, r, BAD], out[c, r, GOOD], out[c, r, ABSTAIN] = bad, good, 1 - bad - good
+    return np.maximum(out, 1e-6)
+
+
+def posteriors(patterns: np.ndarray, counts: np.ndarray, turns: int = 500) -> tuple[np.ndarray, np.ndarray, float]:
     """Posterior of good for each pattern, P(vote | class) as [class, rule, vote] with class 1 good, and the share of good.
 
-    Starts from the votes: a text with a symptom is likely bad, for symptoms are rare and good texts show none; else the share
-    of its votes for good counts. A weak
-    Dirichlet prior holds each rule to mean what it says. Symptoms are written so that at most MOST_FALSE of the good texts
-    show one; the estimate may be less, but not more, or a symptom that comes alone would be taken for a habit of good texts.
-    Texts with votes for good and none for bad anchor the class of good ones: without them symptoms that never come together
-    would let the other class grow until it explains all texts.
+    Starts from the guesses, which then count as so many texts of either class beside those that are there.
     """
+    told, share = guesses(), SHARE_GUESS
     if not len(patterns):
-        return np.empty(0), np.full((2, rules, 3), 1 / 3), 0.5
+        return np.empty(0), told, share
+    rules = len(RULES)
     digits = np.stack([patterns // 3 ** (rules - 1 - r) % 3 for r in range(rules)], axis=1)
     one_hot = (digits[:, :, None] == np.arange(3)).astype(float)
-    for_good, for_bad = (digits == GOOD).sum(axis=1), (digits == BAD).sum(axis=1)
-    ill = (digits[:, list(SYMPTOMS)] == BAD).any(axis=1)
-    good = np.where(ill, 0.05, (for_good + 1.0) / (for_good + for_bad + 1.5))
-    clean = (for_bad == 0) & (for_good > 0)
     weight = counts.astype(float)
-    prior = np.full((2, rules, 3), 0.1)
-    prior[1, :, GOOD] += 0.1
-    prior[0, :, BAD] += 0.1
+    whole = weight.sum()
+    weights = np.array([[BAD_WEIGHT] * rules, [EITHER_WEIGHT if good else SYMPTOM_WEIGHT for (_, good), _ in GUESSES]])
+    prior = guesses() * whole * weights[:, :, None]
+    good = np.zeros(len(patterns))
     for _ in range(turns):
-        both = np.stack((1 - good, good))
-        told = np.einsum("cp,p,prv->crv", both, weight, one_hot) + prior
-        told /= told.sum(axis=2, keepdims=True)
-        told[1, SYMPTOMS, BAD] = np.minimum(told[1, SYMPTOMS, BAD], MOST_FALSE)
-        told[1] /= told[1].sum(axis=1, keepdims=True)
-        share = float(np.clip((good * weight).sum() / weight.sum(), 0.05, 0.99))
         log = np.einsum("prv,crv->cp", one_hot, np.log(told)) + np.log([1 - share, share])[:, None]
         new = 1 / (1 + np.exp(np.clip(log[0] - log[1], -50, 50)))
-        new[clean] = np.maximum(new[clean], ANCHORED)
         moved = float(np.abs(new - good).max())
         good = new
         if moved < 1e-9:
             break
+        told = np.einsum("cp,p,prv->crv", np.stack((1 - good, good)), weight, one_hot) + prior
+        told /= told.sum(axis=2, keepdims=True)
+        share = float(((good * weight).sum() + SHARE_GUESS * SHARE_WEIGHT * whole) / (whole * (1 + SHARE_WEIGHT)))
     return good, told, share
 
 
-def fit(docs: DataFrame, text: str = "text") -> dict[int, float]:
-    """Posterior of good for every pattern of votes in docs; all texts count."""
-    rows = sorted(vote_counts(docs, text).collect())
-    good, _, _ = posteriors(np.array([r.pattern for r in rows], np.int64), np.array([r.n for r in rows], np.int64))
-    return {r.pattern: float(g) for r, g in zip(rows, good)}
+MEASURES = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean"
 
 
-def judged(docs: DataFrame, model: dict[int, float] | None = None, text: str = "text", keep: list[str] | None = None, kept_from: float = KEPT_FROM) -> DataFrame:
-    """docs (or its columns in keep) with the base measures, base_failed, quality (posterior of good) and kept."""
-    shipped = docs.sparkSession.sparkContext.broadcast(fit(docs, text) if model is None else model)
-    added = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, base_failed boolean, quality double, kept boolean"
-    names = [part.split()[0] for part in added.split(", ")]
-    kept = [c for c in (docs.columns if keep is None else keep) if c.lower() not in names]
+def voted(docs: DataFrame, text: str = "text", keep: list[str] | None = None) -> DataFrame:
+    """docs (or its columns in keep) with the base measures, base_failed and vote_pattern, the rules' votes as one number."""
+    names = [part.split()[0] for part in MEASURES.split(", ")]
+    kept = [c for c in (docs.columns if keep is None else keep) if c.lower() not in (*names, "vote_pattern")]
 
     def run(batches):
-        known = shipped.value
         for batch in batches:
             found = [measured(value) for value in batch.column(text).to_pylist()]
-            failed = [base_failed(base) for base, _ in found]
-            good = [0.0 if f else known.get(_pattern(v), 0.5) for f, (_, v) in zip(failed, found)]
             columns = {name: pa.array([base[k] for base, _ in found], pa.int64()) for k, name in enumerate(names[:5])}
-            columns |= {"base_failed": pa.array(failed, pa.bool_()), "quality": pa.array(good, pa.float64()), "kept": pa.array([not f and g >= kept_from for f, g in zip(failed, good)], pa.bool_())}
+            columns["base_failed"] = pa.array([base_failed(base) for base, _ in found], pa.bool_())
+            columns["vote_pattern"] = pa.array([_pattern(votes) for _, votes in found], pa.int64())
             yield with_columns(batch, columns, kept)
 
-    return docs.select(*dict.fromkeys([*kept, text])).mapInArrow(run, extended(docs, added, kept))
+    return docs.select(*dict.fromkeys([*kept, text])).mapInArrow(run, extended(docs, MEASURES + ", vote_pattern long", kept))
+
+
+def fit(votes: DataFrame) -> dict[int, float]:
+    """Posterior of good for every pattern of votes of the texts that passed the base test; all of them count."""
+    rows = sorted(votes.filter("not base_failed").groupBy("vote_pattern").agg(F.count("*").alias("n")).collect())
+    good, _, _ = posteriors(np.array([r.vote_pattern for r in rows], np.int64), np.array([r.n for r in rows], np.int64))
+    return {r.vote_pattern: float(g) for r, g in zip(rows, good)}
+
+
+def judged(docs: DataFrame, model: dict[int, float] | None = None, text: str = "text", keep: list[str] | None = None, kept_from: float = KEPT_FROM) -> DataFrame:
+    """docs (or its columns in keep) with the base measures, base_failed, quality (posterior of good) and kept."""
+    plain, name = unnamed(docs)
+    own = ["quality", "kept", *(part.split()[0] for part in MEASURES.split(", "))]
+    wanted = [c for c in (docs.columns if keep is None else keep) if c.lower() not in own]
+    votes = cut(voted(plain, name[text], [name[c] for c in wanted]))
+    known = fit(votes) if model is None else model
+    table = docs.sparkSession.createDataFrame(sorted(known.items()), "vote_pattern long, posterior double")
+    good = F.when(F.col("base_failed"), 0.0).otherwise(F.coalesce("posterior", F.lit(0.5)))
+    told = votes.join(F.broadcast(table), "vote_pattern", "left").withColumn("quality", good)  # at most 3 ** rules patterns
+    return told.select(*[F.col(name[c]).alias(c) for c in wanted], *own[2:], "quality", (~F.col("base_failed") & (F.col("quality") >= kept_from)).alias("kept"))
 
 
 def accepted(docs: DataFrame, text: str = "text", **options) -> DataFrame:
     """The documents that the rules keep, with their own columns."""
     plain, name = unnamed(docs)
-    return renamed(judged(plain, fit(docs, text), name[text], **options).filter("kept"), docs)
+    return renamed(judged(plain, text=name[text], **options).filter("kept"), docs)
 
 
 def op5_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
