@@ -2,14 +2,17 @@
 
 A count-min sketch keeps most windows out of the shuffle. Every window holds a gram of 16 words whose hash is least among
 the window's grams; equal windows hold equal least grams, so the count of a window's least gram bounds the window's own
-count from above, and there are ten times fewer such grams than windows. Each task counts the grams that it meets into
-saturating counters (0, 1, many); the partial sketches are merged, and a window is estimated repeated where all of its
-counters say many. A second pass groups exactly only the windows estimated repeated, by a 128-bit digest of their words,
-and finds those that are single after all; the last pass removes what is estimated repeated and not among these. An
-undersized sketch only lets more windows through to the exact grouping; it loses none.
+count from above, and there are ten times fewer such grams than windows. The sketch is cut into shards by the gram's hash, and their
+number follows the input, so that its load doesn't grow. Each task counts the grams that it meets into saturating counters (0, 1, many);
+the partial sketches are merged shard by shard, and a window is estimated repeated where all of its counters say many. Up to
+BROADCAST_BYTES the sketch is sent to all tasks, which look their windows up; beyond it the texts' grams are sent to the shards, and each
+text gets back those that are estimated repeated. A second pass groups exactly only the windows estimated repeated, by a 128-bit
+digest of their words, and finds those that are single after all; the last pass removes what is estimated repeated and not among
+these. False alarms cost shuffle, not right results; nothing that repeats is lost.
 
 Null and empty texts and texts of fewer than 35 words have no window and keep all words. Repeated rows are each other's
-repetition. Rows with one doc_id are told apart by their windows' digests.
+repetition. Texts are known by a 128-bit hash of them, never by doc_id: equal texts have no single window, and ids may be null or
+equal without rows gathering in one group.
 """
 
 from __future__ import annotations
@@ -23,17 +26,21 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import chunks, covered, cut, extended, mix, rolling, table, utf8, with_columns, word_hashes
+from .common import chunks, covered, cut, extended, mix, rolling, table, unnamed, utf8, with_columns, word_hashes
 
 WINDOW = 35
 GRAM = 16
 DEPTH = 4
-#: log2 of the counters of one row of the sketch; of four rows of 2**26 each worker holds one bit a counter, 32 MB, whatever the input.
-MOST_BITS = 26
-LEAST_BITS = 16
-#: Below this many false alarms (rows of an id, a position and a digest) they are broadcast, beyond it they are joined.
+#: log2 of the counters of a shard's row, at most and at least. A shard of 4 rows of 2**22 has 2 MB, one bit a counter.
+SHARD_BITS, LEAST_BITS = 22, 16
+#: Bytes of text for each counter of a row: some ten counters for each gram.
+TEXT_PER_COUNTER = 8
+#: Largest sketch that is sent to all tasks.
+BROADCAST_BYTES = 32 << 20
+#: Parts into which a shard's look-ups are dealt, each with a copy of the shard, so that a gram in a third of all texts is split.
+SALTS = 8
+#: Below this many false alarms (rows of a text, a position and a digest) they are broadcast, beyond it they are joined.
 BROADCAST_ROWS = 500_000
-STRIPES = 64
 GRAM_FACTOR = 0xD6E8FEB86659FD93
 
 
@@ -70,14 +77,14 @@ class Piece:
         self.window, self.span = window, span
 
     def chosen(self) -> np.ndarray:
-        """The grams that are the least of some window, each where it stands."""
+        """The words at which a gram begins that is the least of some window."""
         if not len(self.starts):
-            return np.empty(0, np.uint64)
+            return np.empty(0, np.int64)
         padded = np.zeros(len(self.each) + self.span - 1, np.uint64)
         padded[self.starts + self.span - 1] = self.least[self.starts]
-        return self.each[_sliding(padded, self.span, np.maximum) == self.each]  # a gram is never below the least of its windows
+        return np.flatnonzero(_sliding(padded, self.span, np.maximum) == self.each)  # a gram is never below the least of its windows
 
-    def suspects(self, estimate: Sketch) -> np.ndarray:
+    def suspects(self, estimate: Sketch | Listed) -> np.ndarray:
         """Words at which a window starts that is estimated repeated."""
         least = self.least[self.starts]
         if not len(least):
@@ -107,50 +114,82 @@ def slots(keys: np.ndarray, row: int, bits: int) -> np.ndarray:
         return (mix(keys + np.uint64(0x632BE59BD9B4E019) * np.uint64(row + 1)) >> np.uint64(64 - bits)).astype(np.int64)
 
 
+class Shape:
+    """2**shard_bits shards of DEPTH rows of 2**bits counters."""
+
+    def __init__(self, text_bytes: int, most_bits: int = SHARD_BITS, least_bits: int = LEAST_BITS):
+        whole = max(least_bits, int(text_bytes // TEXT_PER_COUNTER).bit_length())
+        self.bits = min(whole, most_bits)
+        self.shard_bits = whole - self.bits
+
+    @property
+    def shard_bytes(self) -> int:
+        return DEPTH << self.bits >> 3
+
+    @property
+    def bytes(self) -> int:
+        return self.shard_bytes << self.shard_bits
+
+    def shard(self, keys: np.ndarray) -> np.ndarray:
+        return (mix(keys ^ np.uint64(GRAM_FACTOR)) >> np.uint64(64 - self.shard_bits)).astype(np.int64) if self.shard_bits else np.zeros(len(keys), np.int64)
+
+    def counters(self, keys: np.ndarray) -> np.ndarray:
+        """The counters of each key in its shard, a row each."""
+        return np.stack([slots(keys, row, self.bits) + (row << self.bits) for row in range(DEPTH)])
+
+
 class Sketch:
-    """The merged counters' second bit: many, that is met more than once, for each row of 2**bits counters."""
+    """The merged counters' second bit: many, that is met more than once, of all shards or of one."""
 
-    def __init__(self, bits: int, many: np.ndarray):
-        self.bits, self.many = bits, many
+    def __init__(self, shape: Shape, many: np.ndarray):
+        self.shape, self.many = shape, many
 
-    def repeated(self, keys: np.ndarray) -> np.ndarray:
+    def repeated(self, keys: np.ndarray, shard: int | None = None) -> np.ndarray:
+        base = (self.shape.shard(keys) if shard is None else np.zeros(len(keys), np.int64)) * (8 * self.shape.shard_bytes)
         out = np.ones(len(keys), bool)
-        for row in range(DEPTH):
-            at = slots(keys, row, self.bits)
-            out &= (self.many[row][at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1
+        for at in self.shape.counters(keys):
+            at = at + base
+            out &= (self.many[at >> 3] >> (7 - (at & 7)).astype(np.uint8)) & 1 == 1
         return out
 
 
-def sketch(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, text: str = "text", most_bits: int = MOST_BITS) -> Sketch:
-    """Counts of all least grams of docs. Only a fixed number of bytes reaches the driver: DEPTH * 2**bits / 8 for `many`."""
-    chars = docs.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0]
-    bits = int(np.clip(int(chars // 8).bit_length(), LEAST_BITS, most_bits))  # some ten counters for each gram, up to the bound
-    stripe_bits = bits + 2 - (STRIPES.bit_length() - 1)  # each row of the sketch takes STRIPES / DEPTH stripes
+class Listed:
+    """Grams that the shards have estimated repeated, of some texts."""
+
+    def __init__(self, lists: pa.Array):
+        self.grams = np.unique(lists.drop_null().flatten().to_numpy(zero_copy_only=False).astype(np.int64, copy=False).view(np.uint64))
+
+    def repeated(self, keys: np.ndarray) -> np.ndarray:
+        if not len(self.grams):
+            return np.zeros(len(keys), bool)
+        return self.grams[np.minimum(np.searchsorted(self.grams, keys), len(self.grams) - 1)] == keys
+
+
+def shards(texts: DataFrame, shape: Shape, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """(shard, many): the merged sketch of the least grams of all texts."""
 
     def count(batches: Iterator[pa.RecordBatch]):
         held: list[np.ndarray] = []
         size = 0
 
         def flush():
-            """The slots met so far, sorted: those met once and those met more often, as gaps, a stripe a row."""
+            """The counters met so far, shard by shard: those met once and those met more often, as gaps."""
             keys = np.concatenate(held)
-            stripe, once, many = [], [], []
-            for row in range(DEPTH):
-                at, times = np.unique(slots(keys, row, bits), return_counts=True)
-                at += row << bits
-                cuts = np.searchsorted(at, np.arange(row << bits, ((row + 1) << bits) + 1, 1 << stripe_bits))
-                for k in range(len(cuts) - 1):
-                    part, n = at[cuts[k] : cuts[k + 1]], times[cuts[k] : cuts[k + 1]]
-                    number = (row << bits >> stripe_bits) + k
-                    local = part - (number << stripe_bits)
-                    stripe.append(number)
-                    once.append(_gaps(local[n == 1]))
-                    many.append(_gaps(local[n > 1]))
-            return pa.RecordBatch.from_arrays([pa.array(stripe, pa.int32()), pa.array(once, pa.binary()), pa.array(many, pa.binary())], names=["stripe", "once", "many"])
+            which = shape.shard(keys)
+            order = np.argsort(which, kind="stable")
+            keys, which = keys[order], which[order]
+            numbers, first = np.unique(which, return_index=True)
+            once, many = [], []
+            for begin, end in zip(first, [*first[1:], len(keys)]):
+                at, times = np.unique(shape.counters(keys[begin:end]), return_counts=True)
+                once.append(_gaps(at[times == 1]))
+                many.append(_gaps(at[times > 1]))
+            return pa.RecordBatch.from_arrays([pa.array(numbers, pa.int64()), pa.array(once, pa.binary()), pa.array(many, pa.binary())], names=["shard", "once", "many"])
 
         for batch in batches:
-            for _, piece in chunks(utf8(batch.column(text))):
-                held.append(Piece(piece, window, gram).chosen())
+            for _, piece in chunks(utf8(batch.column(0))):
+                found = Piece(piece, window, gram)
+                held.append(found.each[found.chosen()])
                 size += len(held[-1])
                 if size >= 4_000_000:
                     yield flush()
@@ -161,27 +200,64 @@ def sketch(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, text: str =
     def merge(batches: Iterator[pa.RecordBatch]):
         now, seen, more = None, None, None
         for batch in batches:
-            for stripe, once, many in zip(*(batch.column(k).to_pylist() for k in range(3))):
-                if stripe != now:
+            for shard, once, many in zip(*(batch.column(k).to_pylist() for k in range(3))):
+                if shard != now:
                     if now is not None:
                         yield finished(now, more)
-                    now, seen, more = stripe, np.zeros(1 << stripe_bits, bool), np.zeros(1 << stripe_bits, bool)
+                    now, seen, more = shard, np.zeros(8 * shape.shard_bytes, bool), np.zeros(8 * shape.shard_bytes, bool)
                 for at, twice in ((_ungapped(once), False), (_ungapped(many), True)):
                     more[at] |= seen[at] | twice
                     seen[at] = True
         if now is not None:
             yield finished(now, more)
 
-    def finished(stripe: int, more: np.ndarray) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([pa.array([stripe], pa.int32()), pa.array([np.packbits(more).tobytes()], pa.binary())], names=["stripe", "many"])
+    def finished(shard: int, more: np.ndarray) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array([shard], pa.int64()), pa.array([np.packbits(more).tobytes()], pa.binary())], names=["shard", "many"])
+
+    parts = texts.select("text").mapInArrow(count, "shard long, once binary, many binary")
+    return parts.repartition("shard").sortWithinPartitions("shard").mapInArrow(merge, "shard long, many binary")
+
+
+def gathered(merged: DataFrame, shape: Shape) -> Sketch:
+    """The whole sketch on the driver, where it is no larger than BROADCAST_BYTES."""
+    whole = np.zeros(shape.bytes, np.uint8)
+    for row in merged.collect():
+        whole[row.shard * shape.shard_bytes : (row.shard + 1) * shape.shard_bytes] = np.frombuffer(row.many, np.uint8)
+    return Sketch(shape, whole)
+
+
+def looked_up(texts: DataFrame, merged: DataFrame, shape: Shape, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """(k0, k1, grams): for each text that has any, its least grams that are estimated repeated. Grams go to the shards, not shards to the texts."""
 
-    parts = docs.select(text).mapInArrow(count, "stripe int, once binary, many binary")
-    whole = np.zeros((DEPTH, max(1, (1 << bits) // 8)), np.uint8)
-    flat = whole.reshape(-1)
-    length = (1 << stripe_bits) // 8
-    for row in parts.repartition("stripe").sortWithinPartitions("stripe").mapInArrow(merge, "stripe int, many binary").collect():
-        flat[row.stripe * length : (row.stripe + 1) * length] = np.frombuffer(row.many, np.uint8)
-    return Sketch(bits, whole)
+    def grams(batches: Iterator[pa.RecordBatch]):
+        for batch in batches:
+            k0, k1 = (batch.column(k).to_numpy(zero_copy_only=False) for k in (1, 2))
+            for first, piece in chunks(utf8(batch.column(0))):
+                found = Piece(piece, window, gram)
+                at = found.chosen()
+                if len(at):
+                    pairs = np.unique(np.stack((found.places(at)[0].astype(np.uint64), found.each[at])), axis=1)
+                    row, keys = first + pairs[0].astype(np.int64), pairs[1]
+                    yield pa.RecordBatch.from_arrays([pa.array(shape.shard(keys)), pa.array((k0[row] & (SALTS - 1)).astype(np.int64)), pa.array(k0[row]), pa.array(k1[row]), pa.array(keys.view(np.int64))], names=["shard", "salt", "k0", "k1", "gram"])
+
+    def answer(batches: Iterator[pa.RecordBatch]):
+        now, held = None, None
+        for batch in batches:
+            shard, many = (batch.column(k) for k in (0, 2))
+            edges = np.flatnonzero(np.diff(shard.to_numpy(), prepend=-1) | many.is_valid().to_numpy(zero_copy_only=False))
+            for begin, end in zip([0, *edges[edges > 0]], [*edges[edges > 0], batch.num_rows]):
+                part = batch.slice(begin, end - begin)
+                if many[begin].is_valid:
+                    now, held = shard[begin].as_py(), Sketch(shape, np.frombuffer(many[begin].as_py(), np.uint8))
+                    part = part.slice(1)
+                if part.num_rows and held is not None and shard[begin].as_py() == now:
+                    keys = part.column(5).to_numpy().view(np.uint64)
+                    yield pa.RecordBatch.from_arrays([part.column(k).filter(pa.array(held.repeated(keys, now))) for k in (3, 4, 5)], names=["k0", "k1", "gram"])
+
+    copies = merged.select("shard", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))).alias("salt"), "many", *[F.lit(None).cast("long").alias(k) for k in ("k0", "k1", "gram")])
+    asked = texts.select("text", "k0", "k1").mapInArrow(grams, "shard long, salt long, k0 long, k1 long, gram long").select("shard", "salt", F.lit(None).cast("binary").alias("many"), "k0", "k1", "gram")
+    met = copies.unionByName(asked).repartition("shard", "salt").sortWithinPartitions("shard", "salt", F.col("many").isNull())
+    return met.mapInArrow(answer, "k0 long, k1 long, gram long").distinct().groupBy("k0", "k1").agg(F.collect_list("gram").alias("grams"))
 
 
 def _gaps(ascending: np.ndarray) -> bytes:
@@ -211,54 +287,59 @@ def _ungapped(packed: bytes) -> np.ndarray:
     return np.cumsum(gap + 1) - 1
 
 
-def false_alarms(docs: DataFrame, shipped, window: int = WINDOW, gram: int = GRAM, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
-    """(id, singles): for each id the positions and digests of windows estimated repeated that start nowhere else."""
+def false_alarms(texts: DataFrame, estimate, window: int = WINDOW, gram: int = GRAM) -> DataFrame:
+    """(k0, k1, singles): for each text the positions and digests of windows estimated repeated that start nowhere else."""
 
     def run(batches):
-        estimate = shipped.value
         for batch in batches:
-            ids = batch.column("id")
+            k0, k1 = batch.column("k0"), batch.column("k1")
             for first, piece in chunks(utf8(batch.column("text"))):
                 found = Piece(piece, window, gram)
-                starts = found.suspects(estimate)
+                starts = found.suspects(estimate(batch, first, len(piece)))
                 if len(starts):
                     both, (row, at) = found.digests(starts), found.places(starts)
-                    yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), ids.take(pa.array(first + row)), pa.array(at.astype(np.int32))], names=["d0", "d1", "id", "start"])
+                    row = pa.array(first + row)
+                    yield pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1]), k0.take(row), k1.take(row), pa.array(at.astype(np.int32))], names=["d0", "d1", "k0", "k1", "start"])
 
-    source = docs.select(F.col(doc_id).alias("id"), F.col(text).alias("text"))
-    kind = source.schema["id"].dataType.simpleString()
-    alike = source.mapInArrow(run, f"d0 long, d1 long, id {kind}, start int").groupBy("d0", "d1")
-    single = alike.agg(F.count("*").alias("n"), F.min("id").alias("id"), F.min("start").alias("start")).filter("n = 1")
-    return single.groupBy("id").agg(F.collect_list(F.struct("start", "d0")).alias("singles"))
+    alike = texts.mapInArrow(run, "d0 long, d1 long, k0 long, k1 long, start int").groupBy("d0", "d1")
+    single = alike.agg(F.count("*").alias("n"), F.min("k0").alias("k0"), F.min("k1").alias("k1"), F.min("start").alias("start")).filter("n = 1")
+    return single.groupBy("k0", "k1").agg(F.collect_list(F.struct("start", "d0")).alias("singles"))
 
 
-def deduplicated(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, text: str = "text", doc_id: str = "doc_id", keep: list[str] | None = None, most_bits: int = MOST_BITS) -> DataFrame:
+def deduplicated(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, text: str = "text", keep: list[str] | None = None, shape: Shape | None = None, broadcast_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """docs (or its columns in keep) with n_words, n_removed and kept_text, the words left joined by one space."""
-    return _finished(docs, window, gram, text, doc_id, keep, most_bits, digest=False)
+    return _finished(docs, window, gram, text, keep, shape, broadcast_bytes, digest=False)
 
 
-def _finished(docs, window, gram, text, doc_id, keep, most_bits, digest: bool) -> DataFrame:
-    context = docs.sparkSession.sparkContext
-    shipped = context.broadcast(sketch(docs, window, gram, text, most_bits))
-    alarms = cut(false_alarms(docs, shipped, window, gram, text, doc_id))
-    few = alarms.agg(F.coalesce(F.sum(F.size("singles")), F.lit(0)) + F.count("*")).first()[0] <= BROADCAST_ROWS
+def _finished(docs, window, gram, text, keep, shape, broadcast_bytes, digest: bool) -> DataFrame:
+    plain, name = unnamed(docs)
     kept = [c for c in (docs.columns if keep is None else keep) if c.lower() not in ("n_words", "n_removed", "kept_text", "kept_sha256")]
-    columns = list(dict.fromkeys([*kept, text]))
-    known = "alarm_singles"
-    while known in docs.columns:
-        known += "_"
-    named = alarms.select(F.col("id").alias(f"{known}_id"), F.col("singles").alias(known))
-    joined = docs.join(F.broadcast(named) if few else named, docs[doc_id].eqNullSafe(named[f"{known}_id"]), "left").select(*[docs[c] for c in columns], named[known])
+    own = [name[c] for c in kept]
+    words = F.col(name[text])
+    # Hashes of the text with two seeds; a hash of a hash would add nothing.
+    rows = plain.select(*own, words.alias("text"), *[F.xxhash64(F.lit(seed), words).alias(k) for k, seed in (("k0", "one"), ("k1", "two"))])
+    source = rows.select("text", "k0", "k1")
+    shape = shape or Shape(docs.agg(F.coalesce(F.sum(F.octet_length(text)), F.lit(0))).first()[0])
+    merged = shards(source, shape, window, gram)
+    if shape.bytes <= broadcast_bytes:
+        shipped = docs.sparkSession.sparkContext.broadcast(gathered(merged, shape))
+        estimate = lambda batch, first, n: shipped.value
+    else:
+        lists = cut(looked_up(source, cut(merged), shape, window, gram))
+        rows, source = (frame.join(lists, ["k0", "k1"], "left") for frame in (rows, source))
+        estimate = lambda batch, first, n: Listed(batch.column("grams").slice(first, n))
+    alarms = cut(false_alarms(source, estimate, window, gram))
+    few = alarms.agg(F.coalesce(F.sum(F.size("singles")), F.lit(0)) + F.count("*")).first()[0] <= BROADCAST_ROWS
+    joined = rows.join(F.broadcast(alarms) if few else alarms, ["k0", "k1"], "left")
     last = "kept_sha256" if digest else "kept_text"
 
     def run(batches):
-        estimate = shipped.value
         for batch in batches:
-            singles = batch.column(known)
+            singles = batch.column("singles")
             count, removed, left = [], [], []
-            for first, piece in chunks(utf8(batch.column(text))):
+            for first, piece in chunks(utf8(batch.column("text"))):
                 found = Piece(piece, window, gram)
-                starts = found.suspects(estimate)
+                starts = found.suspects(estimate(batch, first, len(piece)))
                 some = singles.slice(first, len(piece))
                 if len(starts) and some.null_count < len(piece):
                     row = np.flatnonzero(some.is_valid().to_numpy(zero_copy_only=False))
@@ -278,13 +359,14 @@ def _finished(docs, window, gram, text, doc_id, keep, most_bits, digest: bool) -
                     removed.append(n - len(split))
                     whole = b" ".join(split)
                     left.append(hashlib.sha256(whole).hexdigest() if digest else whole.decode("utf-8", "replace"))
-            yield with_columns(batch, {"n_words": pa.array(count, pa.int64()), "n_removed": pa.array(removed, pa.int64()), last: pa.array(left, pa.string())}, kept)
+            yield with_columns(batch, {"n_words": pa.array(count, pa.int64()), "n_removed": pa.array(removed, pa.int64()), last: pa.array(left, pa.string())}, own)
 
-    return joined.mapInArrow(run, extended(docs, f"n_words long, n_removed long, {last} string", kept))
+    found = joined.mapInArrow(run, extended(plain, f"n_words long, n_removed long, {last} string", own))
+    return found.select(*[F.col(name[c]).alias(c) for c in kept], "n_words", "n_removed", last)
 
 
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _finished(table(spark, sf_dir, "documents"), WINDOW, GRAM, "text", "doc_id", ["doc_id"], MOST_BITS, digest=True).select("doc_id", "n_words", "n_removed", "kept_sha256")
+    return _finished(table(spark, sf_dir, "documents"), WINDOW, GRAM, "text", ["doc_id"], None, BROADCAST_BYTES, digest=True).select("doc_id", "n_words", "n_removed", "kept_sha256")
 
 
 OP10_SQL = r"""
