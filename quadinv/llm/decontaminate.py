@@ -12,6 +12,7 @@ reported. Repeated rows are judged each by itself. Columns of the documents name
 
 from __future__ import annotations
 
+import pickle
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -20,11 +21,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import chunks, extended, renamed, table, unnamed, utf8, with_columns
+from .common import chunks, cut, extended, renamed, table, unnamed, utf8, with_columns
 
 WINDOW = 10
-#: Bytes of item text whose automaton is sent to the executors at once; more items go round in further passes.
-PATTERN_BYTES = 32 << 20
+#: Bytes of item text that are tried as one automaton, and the most bytes that a built one may have to be sent to the executors.
+#: Every word begins a window, so that an automaton has tens of times the bytes of its text.
+PATTERN_BYTES, BUILT_BYTES = 4 << 20, 256 << 20
 LANES = 8192
 MULTIPLIER = np.uint64(0x9E3779B97F4A7C15)
 
@@ -153,49 +155,58 @@ class Automaton:
         return upto - before, positions, [items.get(d, set()) for d in range(len(texts))]
 
 
-def search(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, text: str = "text", item: str = "item_id", item_text: str = "text", keep: list[str] | None = None, pattern_bytes: int = PATTERN_BYTES) -> DataFrame:
+def automata(items: DataFrame, window: int, pattern_bytes: int, built_bytes: int) -> Iterator[Automaton]:
+    """Automata of items (item, text), one after another: each of at most pattern_bytes of text on average, and at most built_bytes as sent."""
+    size = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    parts = int(size // pattern_bytes) + 1
+    for part in range(parts):
+        rows = items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(parts)) == part).collect() if parts > 1 else items.collect()
+        waiting = [sorted((r.item, r.text.encode()) for r in rows)]
+        while waiting:
+            some = waiting.pop()
+            built = Automaton(some, window)
+            if len(some) > 1 and len(pickle.dumps(built, pickle.HIGHEST_PROTOCOL)) > built_bytes:
+                waiting += [some[: len(some) // 2], some[len(some) // 2 :]]
+            else:
+                yield built
+
+
+def search(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, text: str = "text", item: str = "item_id", item_text: str = "text", keep: list[str] | None = None, pattern_bytes: int = PATTERN_BYTES, built_bytes: int = BUILT_BYTES) -> DataFrame:
     """docs (or its columns in keep) with n_words, hit_words (positions, ascending) and hit_items (ids, ascending).
 
-    The items are cut into as many parts of at most about pattern_bytes as needed; each part's automaton is broadcast, and
-    the documents pass through the parts one after another without a shuffle.
+    The items are cut into as many parts as needed; each part's automaton is broadcast, and the documents pass through the parts
+    one after another without a shuffle. Between parts they are checkpointed, so that a task holds one automaton at a time.
     """
     session = docs.sparkSession
     items = benchmark.select(F.col(item).cast("string").alias("item"), F.col(item_text).alias("text")).filter("item is not null and text is not null").distinct()
-    size = items.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
-    parts = int(size // pattern_bytes) + 1
     added = "n_words long, hit_words array<int>, hit_items array<string>"
     kept = [c for c in (docs.columns if keep is None else keep) if c.lower() not in ("n_words", "hit_words", "hit_items")]
-    out = docs.select(*dict.fromkeys([*kept, text]))
-    for part in range(parts):
-        rows = items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(parts)) == part).collect()
-        shipped = session.sparkContext.broadcast(Automaton([(r.item, r.text.encode()) for r in rows], window))
-        first = part == 0
+    columns = list(dict.fromkeys([*kept, text]))
+    out = None
+    for automaton in automata(items, window, pattern_bytes, built_bytes):
+        shipped = session.sparkContext.broadcast(automaton)
 
-        def run(batches, shipped=shipped, first=first, last=part == parts - 1):
-            automaton = shipped.value
+        def run(batches, shipped=shipped, first=out is None):
             for batch in batches:
                 words, hits, found = [], [], []
                 for _, piece in chunks(utf8(batch.column(text))):
-                    n, where, which = automaton.scan(piece)
+                    n, where, which = shipped.value.scan(piece)
                     words.extend(n.tolist())
                     hits.extend(where)
                     found.extend(which)
                 if not first:
                     hits = [np.union1d(a, np.asarray(b, np.int64)) for a, b in zip(hits, batch.column("hit_words").to_pylist())]
                     found = [a | set(b) for a, b in zip(found, batch.column("hit_items").to_pylist())]
-                yield with_columns(
-                    batch,
-                    {
-                        "n_words": pa.array(words, pa.int64()),
-                        "hit_words": pa.array([h.astype(np.int32) for h in hits], pa.list_(pa.int32())),
-                        "hit_items": pa.array([sorted(f) for f in found], pa.list_(pa.string())),
-                    },
-                    kept if last else [c for c in out_columns],
-                )
-
-        out_columns = list(dict.fromkeys([*kept, text]))
-        out = out.mapInArrow(run, extended(out, added, kept if part == parts - 1 else out_columns))
-    return out
+                made = {
+                    "n_words": pa.array(words, pa.int64()),
+                    "hit_words": pa.array([h.astype(np.int32) for h in hits], pa.list_(pa.int32())),
+                    "hit_items": pa.array([sorted(f) for f in found], pa.list_(pa.string())),
+                }
+                yield with_columns(batch, made, columns)
+
+        before = docs.select(*columns) if out is None else cut(out)
+        out = before.mapInArrow(run, extended(docs, added, columns))
+    return out.select(*kept, "n_words", "hit_words", "hit_items")
 
 
 def decontaminated(docs: DataFrame, benchmark: DataFrame, text: str = "text", **options) -> DataFrame:
