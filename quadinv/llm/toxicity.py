@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import bounded_sample, extended, fold, table, with_columns
+from .common import bounded_sample, cut, extended, fold, table, with_columns
 
 BITS = 18
 FACTORS = 6
@@ -75,14 +75,15 @@ class Machine:
         return self.bias + linear + 0.5 * ((total * total).sum(axis=1) - squares), total
 
 
-def significant(terms: list[np.ndarray], y: np.ndarray) -> np.ndarray:
-    """Slots in at least LEAST_DOCS documents whose share of label 1 is LEAST_Z standard errors off that of all."""
-    slots = 1 << BITS
+def counted(terms: list[np.ndarray], y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For each slot, in how many documents it is, and in how many of label 1."""
     size = np.fromiter(map(len, terms), np.int64, len(terms))
     flat = np.concatenate(terms)
-    met = np.bincount(flat, minlength=slots)
-    bad = np.bincount(flat, np.repeat(y, size), minlength=slots)
-    share = y.mean()
+    return np.bincount(flat, minlength=1 << BITS), np.bincount(flat, np.repeat(y, size), minlength=1 << BITS)
+
+
+def significant(met: np.ndarray, bad: np.ndarray, share: float) -> np.ndarray:
+    """Slots in at least LEAST_DOCS documents whose share of label 1 is LEAST_Z standard errors off that of all."""
     z = np.abs(bad - met * share) / np.sqrt(np.maximum(met * share * (1 - share), 1e-9))
     return (met >= LEAST_DOCS) & (z >= LEAST_Z)
 
@@ -95,18 +96,12 @@ def _surprise(bad: np.ndarray, met: np.ndarray, share: np.ndarray) -> np.ndarray
     return np.sign(own - share) * met * apart
 
 
-def paired(terms: list[np.ndarray], y: np.ndarray) -> np.ndarray:
-    """Slots of pairs whose common documents bear label 1 significantly more, or less, often than the documents of either slot.
+def pairable(met: np.ndarray, bad: np.ndarray, overall: float) -> tuple[np.ndarray, np.ndarray, float]:
+    """Slots that aren't too rare for a pair of theirs to be significant, each slot's share of label 1, and the bound that decides.
 
-    A pair is in no more documents than its slots, so slots too rare for any pair of theirs to be significant are left out
-    beforehand. The others are compared all with all, block by block.
+    A pair is in no more documents than its slots.
     """
-    slots = 1 << BITS
-    chosen = np.zeros(slots, bool)
-    size = np.fromiter(map(len, terms), np.int64, len(terms))
-    flat, row = np.concatenate(terms), np.repeat(np.arange(len(terms)), size)
-    met, bad = np.bincount(flat, minlength=slots), np.bincount(flat, y[row], minlength=slots)
-    share = np.clip((bad + y.mean()) / (met + 1), 1e-12, 1 - 1e-12)
+    share = np.clip((bad + overall) / (met + 1), 1e-12, 1 - 1e-12)
     most = np.maximum(-bad * np.log(share), -(met - bad) * np.log(1 - share))  # where all documents of one label are common, and no others
     least, used = np.log(2 / PAIR_CHANCE), np.empty(0, np.int64)
     for _ in range(8):  # fewer slots make fewer pairs, and more pairs ask for more documents
@@ -114,6 +109,18 @@ def paired(terms: list[np.ndarray], y: np.ndarray) -> np.ndarray:
         used, before = np.flatnonzero(most >= bound), used
         if len(used) == len(before):
             break
+    return used, share, bound
+
+
+def paired(terms: list[np.ndarray], y: np.ndarray, used: np.ndarray, share: np.ndarray, bound: float) -> np.ndarray:
+    """Slots of pairs whose common documents bear label 1 significantly more, or less, often than the documents of either slot.
+
+    used, share, bound: from pairable. These slots are compared all with all, block by block.
+    """
+    slots = 1 << BITS
+    chosen = np.zeros(slots, bool)
+    size = np.fromiter(map(len, terms), np.int64, len(terms))
+    flat, row = np.concatenate(terms), np.repeat(np.arange(len(terms)), size)
     at = np.full(slots, -1)
     at[used] = np.arange(len(used))
     known = at[flat] >= 0
@@ -147,15 +154,16 @@ def paired(terms: list[np.ndarray], y: np.ndarray) -> np.ndarray:
     return chosen
 
 
-def learn(terms: list[np.ndarray], y: np.ndarray, epochs: int = 15, batch: int = 64, rate: float = 0.02, ridge: float = 1e-4, seed: int = 11) -> Machine:
-    """Adam on the logistic loss, with both labels weighed to equal shares."""
+def learn(terms: list[np.ndarray], y: np.ndarray, counts: tuple[np.ndarray, np.ndarray] | None = None, epochs: int = 15, batch: int = 64, rate: float = 0.02, ridge: float = 1e-4, seed: int = 11) -> Machine:
+    """Adam on the logistic loss, with both labels weighed to equal shares. counts: of all terms, where some of them have been left out."""
     slots = 1 << BITS
     share = float((y.sum() + 0.5) / (len(y) + 1.0))
     machine = Machine(float(np.log(share / (1 - share))), np.zeros(slots), np.zeros((slots, FACTORS)))
     if not len(y) or y.min() == y.max():
         return machine
     draw = np.random.default_rng(seed)
-    chosen = significant(terms, y) | paired(terms, y)
+    met, bad = counts or counted(terms, y)
+    chosen = significant(met, bad, y.mean()) | paired(terms, y, *pairable(met, bad, y.mean()))
     used = np.flatnonzero(chosen)
     terms = [t[chosen[t]] for t in terms]
     machine.bias = 0.0
@@ -207,11 +215,30 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, text: str = "t
 
 
 def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample_rows: int = SAMPLE_ROWS) -> Machine:
-    got = training_rows(docs, labels, label, sample_rows=sample_rows).toArrow()
+    """The driver gets two numbers a slot first, and then only those slots of the sample that may matter."""
+    sample = cut(training_rows(docs, labels, label, sample_rows=sample_rows))
+    met, bad = np.zeros(1 << BITS, np.int64), np.zeros(1 << BITS)
+    counts = sample.select("y", F.explode("terms").alias("slot")).groupBy("slot").agg(F.count("*").alias("met"), F.sum("y").alias("bad")).toArrow()
+    at = counts.column("slot").to_numpy()
+    met[at], bad[at] = counts.column("met").to_numpy(), counts.column("bad").to_numpy()
+    rows, toxic = sample.agg(F.count("*"), F.coalesce(F.sum("y"), F.lit(0))).first()
+    wanted = np.zeros(1 << BITS, bool)
+    if 0 < toxic < rows:
+        wanted |= significant(met, bad, toxic / rows)
+        wanted[pairable(met, bad, toxic / rows)[0]] = True
+    packed = np.packbits(wanted)
+
+    def run(batches):
+        mask = np.unpackbits(packed).astype(bool)
+        for batch in batches:
+            found = [t[mask[t]] for t in (np.asarray(v.values.to_numpy()) for v in batch.column(1))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.list_(pa.int32()))], names=["y", "terms"])
+
+    got = sample.mapInArrow(run, "y int, terms array<int>").toArrow()
     y = got.column("y").to_numpy().astype(np.float64)
     terms = [np.asarray(t.values.to_numpy(), np.int64) for t in got.column("terms")]
     order = sorted(range(len(terms)), key=lambda k: (y[k], len(terms[k]), terms[k].tobytes()))
-    return learn([terms[k] for k in order], y[order])
+    return learn([terms[k] for k in order], y[order], (met, bad))
 
 
 def scored(docs: DataFrame, model: Machine, text: str = "text", keep: list[str] | None = None, toxic_from: float = TOXIC_FROM) -> DataFrame:
