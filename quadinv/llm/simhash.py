@@ -1,7 +1,7 @@
 """SimHash near-duplicates: 64-bit fingerprints, linked by BK-trees within a Hamming radius, then components.
 
-Only distinct fingerprints are linked. Two that differ in at most two of 64 bits agree in two of four 16-bit blocks, so each
-of the six pairs of blocks gives a shard key under which every link is found. A shard of more than `shard_rows` fingerprints
+Only distinct fingerprints are linked. Two that differ in at most r of 64 bits agree in two of r + 2 blocks of bits, so that each
+pair of blocks gives a shard key under which every link is found: six keys for r = 2. A shard of more than `shard_rows` fingerprints
 is cut into slices; each slice's BK-tree is sent to each slice of queries of the same shard and no tree outgrows a task.
 Of the links that a tree yields, only a spanning forest leaves the task, never all pairs.
 
@@ -139,13 +139,17 @@ def _cells(rows: np.ndarray, queries_only: np.ndarray, cell: np.ndarray, radius:
 def links(distinct: DataFrame, radius: int = RADIUS, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """Edges (a, b: long) that connect the fingerprints of distinct (fp) exactly as all links within radius do.
 
-    radius: 2 at most, for then the six shard keys miss nothing.
+    Keys get shorter and more with the radius: (radius + 2) (radius + 1) / 2 of about 128 / (radius + 2) bits.
     """
-    if not 0 <= radius <= 2:
-        raise ValueError("radius must be 0, 1 or 2")
-    block = lambda k: F.shiftrightunsigned("fp", 16 * k).bitwiseAND(F.lit(0xFFFF))
-    pairs = [(i, j) for i in range(4) for j in range(i + 1, 4)]
-    keys = F.array(*[F.shiftleft(F.lit(k).cast("long"), 32) + F.shiftleft(block(i), 16) + block(j) for k, (i, j) in enumerate(pairs)])
+    if not 0 <= radius <= 14:
+        raise ValueError("radius must be 0 to 14")
+    edges = [64 * k // (radius + 2) for k in range(radius + 3)]
+    block = lambda k: F.shiftrightunsigned("fp", edges[k]).bitwiseAND(F.lit((1 << edges[k + 1] - edges[k]) - 1))
+    pairs = [(i, j) for i in range(radius + 2) for j in range(i + 1, radius + 2)]
+    # The bits of both blocks, and the number of the pair: in the bits above where there is room, else hashed together.
+    width = [edges[k + 1] - edges[k] for k in range(radius + 2)]
+    both = lambda i, j: F.shiftleft(block(i).cast("long"), width[j]) + block(j).cast("long")
+    keys = F.array(*[F.lit(k << 56).cast("long") + both(i, j) if width[i] + width[j] <= 56 else F.xxhash64(F.lit(k), both(i, j)) for k, (i, j) in enumerate(pairs)])
     keyed = distinct.select("fp", F.explode(keys).alias("shard"))
     shared = keyed.groupBy("shard").agg(F.count("*").alias("n")).filter("n > 1").select("shard", F.ceil(F.col("n") / shard_rows).cast("int").alias("slices"))
     placed = keyed.join(own_exchange(shared, "shard"), "shard").withColumn("own", F.pmod(F.xxhash64("fp"), F.col("slices")).cast("int"))
@@ -199,13 +203,14 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
 
 
 def one_of_each(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", find=near_duplicates, **options) -> DataFrame:
-    """docs with one document of each component that find gives: that with the smallest id, and of rows with equal ids any one.
+    """docs with one document of each component that find gives: that with the smallest id, and of rows with equal ids the one whose text has the smallest SHA-256.
 
-    Rows without an id are told apart by their text and kept only where no row with an id is like them.
+    A row is known by its id and text, so that only rows of one component are merged; of rows equal in both, any one stays. Rows without an
+    id are kept only where no row with an id is like them.
     """
     plain, name = unnamed(docs)
     own, words = F.col(name[doc_id]), F.col(name[text])
-    key = F.struct(own.isNull().alias("none"), own.alias("id"), F.when(own.isNull(), F.sha2(F.coalesce(words, F.lit("")), 256)).alias("text"))
+    key = F.struct(own.isNull().alias("none"), own.alias("id"), F.sha2(F.coalesce(words, F.lit("")), 256).alias("text"))
     keyed = plain.withColumn("row_key", key)
     found = find(keyed, name[text], "row_key", **options)
     chosen = found.filter(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("row_key")).distinct()
