@@ -112,3 +112,26 @@ def packed(items: list, capacity: int, per_source: int) -> list:
         bins[best][0] -= size
         bins[best][1].append((source, cluster))
     return out
+
+
+def latent_class(votes: list, guess: list, weights: list, share: float, share_weight: float, turns: int) -> list:
+    """P(good) of each text of a list of votes, text by text: guess[class][rule][vote] counts weights[class][rule] x texts as prior."""
+    n, rules = len(votes), len(votes[0])
+    told, good, first = guess, [], share
+    for turn in range(turns + 1):
+        good = []
+        for row in votes:
+            p = [1 - share, share]
+            for c in (0, 1):
+                for r, v in enumerate(row):
+                    p[c] *= told[c][r][v]
+            good.append(p[1] / (p[0] + p[1]))
+        told = [[[0.0] * 3 for _ in range(rules)] for _ in range(2)]
+        for c in (0, 1):
+            for r in range(rules):
+                sums = [weights[c][r] * n * guess[c][r][v] for v in range(3)]
+                for row, g in zip(votes, good):
+                    sums[row[r]] += g if c else 1 - g
+                told[c][r] = [s / sum(sums) for s in sums]
+        share = (sum(good) + first * share_weight * n) / (n * (1 + share_weight))
+    return good

@@ -34,8 +34,27 @@ ODD = [None, "", " \n\t", "x", "Ü", "word " * 30000, "a b c\n" * 10, "a b c\n"
 
 def test_line_dedup_brute_force(spark):
     texts = ["\n".join(random.Random(k).choice("abc") for _ in range(random.Random(k).randint(0, 12))) for k in range(60)] + ["a\n \nb\n\nc", "x\na\nb\nc\nx", "a\n\n\nb\nc\na\nb\nc"]
-    got = {r.doc_id: r.text for r in line_dedup.deduplicated(frame(spark, texts)).collect()}
-    assert [got[k] for k in range(len(texts))] == brute.kept_lines(list(enumerate(texts)))
+    for hot in (line_dedup.HOT, 1):  # 1: every repeated window is hot
+        got = {r.doc_id: r.text for r in line_dedup.deduplicated(frame(spark, texts), hot=hot).collect()}
+        assert [got[k] for k in range(len(texts))] == brute.kept_lines(list(enumerate(texts)))
+
+
+def test_line_dedup_equal_rows(spark):
+    """Of equal rows one is the first; rows of one id and other texts are their own. The SQL says the same."""
+    import duckdb
+
+    rows = [(1, "a\nb\nc\nd"), (1, "a\nb\nc\nd"), (1, "a\nb\nc\nd"), (1, "x\na\nb\nc"), (2, "a\nb"), (2, "a\nb"), (None, "q\nr\ns"), (None, "q\nr\ns"), (None, None), (3, "q\nr\n \ns\nt")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    import hashlib
+
+    want = sorted((r.doc_id or 0, r.n_removed) for r in docs.transform(lambda d: line_dedup.deduplicated(d)).selectExpr("doc_id", "removed_lines as n_removed").collect())
+    assert sorted(n for i, n in want if i == 1)[-2:] == [4, 4] and [n for i, n in want if i == 0] == [0, 0, 3] and want[-1] == (3, 3)
+    pandas = docs.toPandas().astype({"doc_id": "Int64"})
+    con = duckdb.connect()
+    con.register("documents", pandas)
+    sql = sorted((i or 0, n, h) for i, n, h in con.execute(line_dedup.OP4_SQL).fetchall())
+    got = sorted((r.doc_id or 0, r.removed_lines, hashlib.sha256((r.text or "").encode()).hexdigest()) for r in line_dedup.deduplicated(docs).collect())
+    assert got == sql
 
 
 def test_line_dedup_odd_texts(spark):
@@ -90,6 +109,21 @@ def test_accuracies_are_estimated():
     posterior, told, share = quality_rules.posteriors(patterns, counts)
     assert abs(share - 0.8) < 0.05 and told[1, 5, 1] > told[1, 10, 1]
     assert ((posterior[np.searchsorted(patterns, codes)] > 0.5) == good).mean() > 0.95
+    want = brute.latent_class(votes.tolist(), quality_rules.guesses().tolist(), [[(quality_rules.EITHER_WEIGHT if g else quality_rules.SYMPTOM_WEIGHT) if c else quality_rules.BAD_WEIGHT for (_, g), _ in quality_rules.GUESSES] for c in (0, 1)], quality_rules.SHARE_GUESS, quality_rules.SHARE_WEIGHT, 15)
+    short, _, _ = quality_rules.posteriors(patterns, counts, turns=16)
+    assert np.allclose(short[np.searchsorted(patterns, codes)], want, atol=1e-6)
+    more, _, _ = quality_rules.posteriors(patterns, counts * 1000)
+    assert np.allclose(more, posterior)  # the verdict doesn't depend on the size
+
+
+def test_a_weak_symptom_is_outvoted():
+    """Texts that repeat some lines and are fine by all other rules stay; texts with a telling symptom go, whatever the other votes."""
+    rules = len(quality_rules.RULES)
+    fine = [2] * 5 + [1, 2, 2, 2, 1, 1]
+    code = lambda **off: sum(v * 3 ** (rules - 1 - r) for r, v in enumerate([off.get(f"r{r}", v) for r, v in enumerate(fine)]))
+    patterns = np.array([code(), code(r4=0), code(r0=0), code(r0=0, r8=0), code(r2=0)])
+    posterior, _, _ = quality_rules.posteriors(patterns, np.array([8000, 10, 300, 300, 10]))
+    assert (posterior > 0.5).tolist() == [True, True, False, False, False]
 
 
 # Packing
@@ -140,8 +174,8 @@ def test_decontamination_brute_force(spark):
     texts = [" ".join(draw.choice(words) for _ in range(draw.randint(0, 80))) + ", " + (items[draw.randrange(40)] or "") for _ in range(60)] + ODD
     bench = spark.createDataFrame([(k, t) for k, t in items.items()], "item_id long, text string")
     want = brute.leaks(texts, items)
-    for limit in (1 << 20, 300):
-        got = {r.doc_id: (r.n_words, list(r.hit_words), list(r.hit_items)) for r in decontaminate.search(frame(spark, texts), bench, keep=["doc_id"], pattern_bytes=limit).collect()}
+    for limit, built in ((1 << 20, 1 << 28), (1000, 1 << 28), (1 << 20, 60_000)):
+        got = {r.doc_id: (r.n_words, list(r.hit_words), list(r.hit_items)) for r in decontaminate.search(frame(spark, texts), bench, keep=["doc_id"], pattern_bytes=limit, built_bytes=built).collect()}
         assert [got[k] for k in range(len(texts))] == want
     assert decontaminate.search(frame(spark, []), bench).count() == 0
     none = decontaminate.decontaminated(frame(spark, texts), bench.limit(0))
@@ -170,14 +204,14 @@ def test_simhash_brute_force(spark):
 
 
 def test_simhash_odd_rows(spark):
-    docs = spark.createDataFrame([(1, "a b c", 1), (1, "a b c", 1), (None, "a b c", 2), (None, "d e f g", 3), (None, "d e f g", 4), (None, "h i j k l", 5)], "doc_id long, text string, fp int")
+    docs = spark.createDataFrame([(1, "a b c", 1), (1, "a b c", 1), (None, "a b c", 2), (None, "d e f g", 3), (None, "d e f g", 4), (None, "h i j k l", 5), (1, "m n o p q r", 6)], "doc_id long, text string, fp int")
     left = simhash.one_of_each(docs).collect()
-    assert sorted((r.doc_id or 0, r.text) for r in left) == [(0, "d e f g"), (0, "h i j k l"), (1, "a b c")] and left[0].asDict().keys() == {"doc_id", "text", "fp"}
+    assert sorted((r.doc_id or 0, r.text) for r in left) == [(0, "d e f g"), (0, "h i j k l"), (1, "a b c"), (1, "m n o p q r")] and left[0].asDict().keys() == {"doc_id", "text", "fp"}
     assert simhash.near_duplicates(frame(spark, [])).count() == 0
 
 
 @settings(max_examples=30, deadline=None)
-@given(st.lists(st.integers(0, 2**64 - 1), min_size=1, max_size=40, unique=True), st.integers(0, 2))
+@given(st.lists(st.integers(0, 2**64 - 1), min_size=1, max_size=40, unique=True), st.integers(0, 5))
 def test_bk_forest(values, radius):
     values = sorted(set(values) | {v ^ 1 for v in values[:5]} | {v ^ 6 for v in values[:3]})
     rows = np.array(values, np.uint64)
@@ -189,6 +223,24 @@ def test_bk_forest(values, radius):
     assert set(zip(q.tolist(), n.tolist())) == want and len(q) == len(want)
 
 
+@pytest.mark.parametrize("radius", [0, 1, 3, 6])
+def test_links_of_any_radius(spark, radius):
+    draw = random.Random(radius)
+    prints = [draw.getrandbits(64) for _ in range(40)]
+    for k in range(60):
+        prints.append(prints[draw.randrange(len(prints))] ^ sum(1 << b for b in draw.sample(range(64), draw.randint(0, radius + 1))))
+    prints = sorted(set(prints))
+    signed = [p - 2**64 if p >= 2**63 else p for p in prints]
+    got = {r.node: r.root for r in components(simhash.links(spark.createDataFrame([(p,) for p in signed], "fp long"), radius, shard_rows=16)).collect()}
+    root = {p: p for p in signed}
+    for _ in prints:
+        for a, x in zip(signed, prints):
+            for b, y in zip(signed, prints):
+                if bin(x ^ y).count("1") <= radius:
+                    root[a] = min(root[a], root[b])
+    assert {p: got.get(p, p) for p in signed} == root
+
+
 def test_components(spark):
     edges = [(k, k + 1) for k in range(30)] + [(100, 100), (200, 300), (300, 250)]
     got = {r.node: r.root for r in components(spark.createDataFrame(edges, "a long, b long")).collect()}
@@ -199,21 +251,46 @@ def test_components(spark):
 # Substring dedup
 
 
-@pytest.mark.parametrize("bits", [16, 26])
-def test_substring_dedup_brute_force(spark, bits, monkeypatch):
-    monkeypatch.setattr(substring_dedup, "LEAST_BITS", 8 if bits == 16 else 16)
+def passages():
     draw = random.Random(2)
     shared = [" ".join(f"s{draw.randrange(50)}" for _ in range(12)) for _ in range(4)]
     texts = [" ".join(f"u{draw.randrange(9)}" for _ in range(draw.randint(0, 30))) + " " + draw.choice(shared + [""]) + " " + " ".join(f"v{draw.randrange(9)}" for _ in range(draw.randint(0, 30))) for _ in range(60)]
-    texts += [None, "", "a b c", "q " * 40, texts[0], texts[1]]
-    got = {r.doc_id: r for r in substring_dedup.deduplicated(frame(spark, texts), window=8, gram=4, most_bits=12 if bits == 16 else 26).collect()}
+    return texts + [None, "", "a b c", "q " * 40, texts[0], texts[1], "long words here " * 9000]
+
+
+@pytest.mark.parametrize("text_bytes, most_bits, broadcast_bytes", [(1 << 20, 22, 1 << 25), (1 << 9, 6, 1 << 25), (1 << 14, 6, 1 << 25), (1 << 14, 6, 0), (1 << 9, 22, 0)])
+def test_substring_dedup_brute_force(spark, text_bytes, most_bits, broadcast_bytes):
+    """One shard or many, loaded lightly or to the full, sent to the texts or asked by them: the same result."""
+    texts = passages()
+    shape = substring_dedup.Shape(text_bytes, most_bits, least_bits=6)
+    got = {r.doc_id: r for r in substring_dedup.deduplicated(frame(spark, texts), window=8, gram=4, shape=shape, broadcast_bytes=broadcast_bytes).collect()}
     for k, left in enumerate(brute.repeats(texts, 8)):
         assert got[k].kept_text == " ".join(left) and got[k].n_removed == got[k].n_words - len(left)
 
 
+def test_sketch_passes_few_at_any_size():
+    """The share of single grams let through depends on the load alone, not on the number of shards, and every repeated one passes."""
+    draw = np.random.default_rng(0)
+    for grams, most_bits in ((4_000, 22), (4_000, 12), (120_000, 12)):
+        keys = draw.integers(0, 2**63, grams, dtype=np.uint64)
+        again = keys[: grams // 10]
+        shape = substring_dedup.Shape(80 * grams, most_bits, least_bits=8)
+        assert shape.bytes >= 2 * grams and (most_bits == 22) == (shape.shard_bits == 0)
+        all_ = np.concatenate((keys, again))
+        at = shape.counters(all_) + shape.shard(all_) * 8 * shape.shard_bytes
+        many = np.bincount(at.ravel(), minlength=8 * shape.bytes) > 1
+        found = substring_dedup.Sketch(shape, np.packbits(many)).repeated(keys)
+        assert found[: grams // 10].all() and found[grams // 10 :].mean() < 0.01
+    for load, share in ((0.1, 1e-3), (0.4, 0.03), (1.0, 0.25), (4.0, 1.0)):  # of counters: saturation lets all through
+        assert (1 - np.exp(-load)) ** substring_dedup.DEPTH < share + 1e-12
+
+
 def test_substring_dedup_odd_rows(spark):
-    docs = spark.createDataFrame([(1, "x"), (1, "y " * 50), (None, None)], "doc_id long, text string")
-    assert sorted(r.n_removed for r in substring_dedup.deduplicated(docs).collect()) == [0, 0, 50]
+    lone = [" ".join(f"{c}{k}" for k in range(50)) for c in "abc"]
+    docs = spark.createDataFrame([(1, "x", 1), (1, "y " * 50, 2), (None, None, 3), (None, lone[0], 4), (None, lone[1], 5), (1, lone[2], 6)], "doc_id long, text string, singles int")
+    for shape, limit in ((None, 1 << 25), (substring_dedup.Shape(64, 3, 3), 1 << 25), (substring_dedup.Shape(64, 3, 3), 0)):
+        rows = substring_dedup.deduplicated(docs, shape=shape, broadcast_bytes=limit).collect()
+        assert sorted((r.singles, r.n_removed) for r in rows) == [(1, 0), (2, 50), (3, 0), (4, 0), (5, 0), (6, 0)]
     assert substring_dedup.deduplicated(frame(spark, [])).count() == 0
     gaps = np.array([0, 1, 5, 200, 40000, 3_000_000, 2**31], np.int64)
     assert (substring_dedup._ungapped(substring_dedup._gaps(gaps)) == gaps).all() and len(substring_dedup._ungapped(b"")) == 0
@@ -291,6 +368,8 @@ def test_language(spark):
     model = langid.fit(docs)
     odd = spark.createDataFrame([(1, None), (2, ""), (3, "12 34 !?"), (4, "fürich " * 5000)], "doc_id long, text string")
     got = {r.doc_id: (r.lang_pred, r.score) for r in langid.predicted(odd, model).collect()}
+    marks = spark.createDataFrame([(1, "\u00bd \u00b2 \u2460 \u2167 \u0663 _"), (2, "\u02b0"), (3, "\u01c5 1")], "doc_id long, text string")
+    assert {r.doc_id: r.lang_pred == "und" for r in langid.predicted(marks, model).collect()} == {1: True, 2: False, 3: False}
     assert got[1] == got[2] == got[3] == ("und", 0.0) and got[4][0] == "yy" and 0.5 < got[4][1] <= 1
     good = langid.predicted(docs, model).filter("lang = lang_pred").count()
     assert good >= 58
