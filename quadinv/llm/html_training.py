@@ -1,7 +1,8 @@
 """Labelled pages for training the HTML extractor: page layouts drawn at random, each part labelled by what it is.
 
-A part's elements carry data-y="1" (main text) or data-y="0" (everything else); the extractor's parser reads the label and
-never uses it as a feature. Words are random syllables, so that nothing is learned from the wording.
+A part's elements carry data-y="1" (main text) or data-y="0" (everything else); the extractor's parser reads the label of training
+pages only and never uses it as a feature. Words are random syllables, so that nothing is learned from the wording; a share of the pages
+names nothing, or by hashes, so that the shape of a part has to tell.
 """
 
 from __future__ import annotations
@@ -28,6 +29,7 @@ SYLLABLES = "ba ce di fo gu ha je ki lo mu na pe ri so tu va we xi yo zu an er i
 class Page:
     def __init__(self, seed: int):
         self.draw = random.Random(seed)
+        self.style = self.draw.choice(("named", "named", "named", "hashed", "plain"))
 
     def word(self) -> str:
         return "".join(self.draw.choice(SYLLABLES) for _ in range(self.draw.randint(1, 4)))
@@ -39,7 +41,11 @@ class Page:
         return " ".join(self.words(4, 18).capitalize() + self.draw.choice("...,!?") for _ in range(self.draw.randint(least, most)))
 
     def named(self, part: str) -> str:
-        """Attributes that name the part, or none at all."""
+        """Attributes that name the part, by a hash on pages that do so, and not at all on plain ones."""
+        if self.style == "plain":
+            return ""
+        if self.style == "hashed":
+            return f' class="{self.draw.choice(("css", "sc", "x", "jsx", "_"))}-{self.draw.randrange(16**6):06x}"'
         name = self.draw.choice(NAMES[part])
         kind = self.draw.random()
         if kind < 0.45:
@@ -107,16 +113,30 @@ class Page:
         return self.element(self.draw.choice(("div", "ul", "p")), " ".join(f"<a href='#'>{self.word()}</a>" for _ in range(4)), self.named("share"), 0)
 
     def comments(self) -> str:
+        """Rarely on pages that name nothing, for there nothing sets them off from an article."""
+        if self.style != "named" and self.draw.random() < 0.85:
+            return self.sidebar()
         one = lambda: self.draw.choice((f"<p>{self.sentences(1, 5)}</p>", self.sentences(1, 4), f"<b>{self.word()}</b> <p>{self.sentences(1, 4)}</p>"))
-        tag = self.draw.choice(("li", "div", "article"))
+        tag = self.draw.choice(("li", "li", "div", "div", "article"))
         rows = "".join(self.element(tag, one(), self.draw.choice(("", self.named("comments")))) for _ in range(self.draw.randint(1, 6)))
         inner = self.draw.choice(("", f"<h3>{self.words(1, 3)}</h3>")) + (self.element("ol", rows, self.draw.choice(("", self.named("comments")))) if tag == "li" else rows)
         return self.element(self.draw.choice(("section", "div", "div", "aside")), inner, self.named("comments"), 0)
 
     # Main text; each with label 1.
 
+    def prose(self) -> str:
+        """Sentences mostly; now and then a word or two, or many without a stop."""
+        kind = self.draw.random()
+        if kind < 0.72:
+            return self.sentences(1, 8)
+        if kind < 0.86:
+            return self.words(1, 3).capitalize() + self.draw.choice(".,?. ")
+        if kind < 0.95:
+            return self.words(3, 120)
+        return " ".join(f"{self.word().upper()}!!" for _ in range(self.draw.randint(3, 40)))
+
     def paragraph(self) -> str:
-        text = self.sentences(1, 8)
+        text = self.prose()
         kind = self.draw.random()
         if kind < 0.15:
             text = f"<b>{self.words(2, 6)}</b> {text}"
@@ -148,15 +168,25 @@ class Page:
         return self.element("div", self.sentences(1, 6), "", 1)
 
     def article(self) -> str:
-        parts = [self.element(self.draw.choice(("h1", "h1", "h2")), self.words(2, 10), "", 1)] if self.draw.random() < 0.85 else []
-        for _ in range(self.draw.randint(1, 14)):
+        parts = [self.element(self.draw.choice(("h1", "h1", "h2")), self.draw.choice((self.words(2, 10), self.words(2, 10), self.sentences(1, 3))), "", 1)] if self.draw.random() < 0.85 else []
+        for _ in range(self.draw.choice((1, 1, 2, self.draw.randint(1, 14), self.draw.randint(3, 14), self.draw.randint(5, 25)))):
             parts.append(self.passage())
             if self.draw.random() < 0.06:
                 parts.append(self.draw.choice((self.ad, self.share, self.form, self.notice))())
         if self.draw.random() < 0.15:
             parts.append(self.draw.choice((self.share, self.comments, self.sidebar))())
+        if self.draw.random() < 0.25:
+            head = self.element("h1", self.words(2, 10), "", 1) + self.draw.choice(("", "", self.element("p", self.sentences(1, 2), "", 1)))
+            name = self.draw.choice(("", "", ' class="entry-header"', ' class="post-header"', ' class="article-header"')) if self.style == "named" else self.named("header")
+            parts.insert(0, self.element(self.draw.choice(("header", "header", "div")), head, name, 1))
+        if self.draw.random() < 0.2:
+            parts.append(self.element("footer", self.draw.choice((self.links(1, 5), f"{self.words(1, 3)} <a href='/t'>{self.words(1, 2)}</a>")), self.draw.choice(("", self.named("footer"))), 0))
+        if self.draw.random() < 0.15:
+            parts.insert(self.draw.randint(1, len(parts)), self.element("aside", f"<h3>{self.words(1, 3)}</h3>" + self.links(2, 5, (2, 6)), self.draw.choice(("", self.named("sidebar"))), 0))
         inner = "".join(parts)
         kind = self.draw.random()
+        if self.style != "named" and kind < 0.4:
+            return self.element("div", inner, self.named("content"), 1)
         if kind < 0.45:
             return self.element("article", inner, self.draw.choice(("", self.named("content"))), 1)
         if kind < 0.6:
@@ -165,11 +195,30 @@ class Page:
             return self.element(self.draw.choice(("div", "section")), inner, self.named("content"), 1)
         return self.element("div", inner, self.inert(), 1)
 
+    def rights(self) -> str:
+        """A copyright line in an element that says nothing."""
+        return self.element(self.draw.choice(("div", "p", "center", "div")), self.draw.choice((f"&copy; {self.draw.randrange(1995, 2030)} {self.words(1, 4)}", f"&copy; {self.words(2, 5)}. {self.sentences(1, 1)}", f"{self.words(1, 2)} &copy; {self.words(1, 3)} | <a href='/p'>{self.words(1, 2)}</a> | <a href='/c'>{self.words(1, 2)}</a>")), "", 0)
+
+    def table_page(self) -> str:
+        """Menu, article and margin as cells of one table."""
+        menu = self.draw.choice((self.links(), "<br>".join(f"<a href='/{self.word()}'>{self.words(1, 2)}</a>" for _ in range(self.draw.randint(3, 8)))))
+        main = "".join([self.element("h1", self.words(2, 8), "", 1)] + [self.passage() for _ in range(self.draw.randint(2, 8))])
+        if self.draw.random() < 0.3:
+            main = f"<b>{self.words(2, 6)}</b><br><br>" + "<br><br>".join(self.sentences(2, 6) for _ in range(self.draw.randint(2, 6)))
+        cells = [self.element("td", menu, ' width="150"', 0), self.element("td", main, "", 1)] + ([self.element("td", self.links(2, 6), "", 0)] if self.draw.random() < 0.4 else [])
+        top = f"<tr data-y='0'><td colspan=3 data-y=\"0\"><a href='/'>{self.words(1, 3)}</a></td></tr>" if self.draw.random() < 0.5 else ""
+        foot = f"<tr><td colspan=3 data-y=\"0\">&copy; {self.words(1, 4)}</td></tr>" if self.draw.random() < 0.5 else ""
+        return f"<table>{top}<tr>{''.join(cells)}</tr>{foot}</table>"
+
     def html(self) -> str:
+        if self.draw.random() < 0.06:
+            return f"<html><body>{self.table_page()}{self.draw.choice(('', self.rights(), self.footer()))}</body></html>"
         before = [f() for f in (self.notice, self.header, self.menu, self.ad, self.form) if self.draw.random() < 0.5]
         after = [f() for f in (self.share, self.comments, self.sidebar, self.ad, self.form, self.notice, self.menu) if self.draw.random() < 0.35]
-        if self.draw.random() < 0.8:
+        if self.draw.random() < 0.7:
             after.append(self.footer())
+        elif self.draw.random() < 0.7:
+            after.append(self.rights())
         self.draw.shuffle(before)
         middle = self.article()
         if self.draw.random() < 0.3:

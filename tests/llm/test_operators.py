@@ -313,7 +313,7 @@ def test_html_layouts():
     model = html_extract.fit(400, seed=1)
     wrong = total = 0
     for page in labelled_pages(80, seed=77):
-        dom = html_extract.Dom(page)
+        dom = html_extract.Dom(page, labelled=True)
         labels, found = dom.labels(), model.marginals(dom)
         nodes = {n for n, pieces in dom.text if "".join(pieces).strip()}
         wrong += sum((found[n] > 0.5) != bool(labels[n]) for n in nodes)
