@@ -33,12 +33,12 @@ GRAM = 16
 DEPTH = 4
 #: log2 of the counters of a shard's row, at most and at least. A shard of 4 rows of 2**22 has 2 MB, one bit a counter.
 SHARD_BITS, LEAST_BITS = 22, 16
-#: Bytes of text for each counter of a row: some ten counters for each gram.
-TEXT_PER_COUNTER = 8
-#: Largest sketch that is sent to all tasks.
-BROADCAST_BYTES = 32 << 20
+#: Bytes of text for each counter of a row, at most: 2.5 to 5 counters for each gram, so that 0.1 to 1.2 % of the single ones are let through.
+TEXT_PER_COUNTER = 32
+#: Largest sketch that is sent to all tasks: enough for 4 GB of text.
+BROADCAST_BYTES = 64 << 20
 #: Parts into which a shard's look-ups are dealt, each with a copy of the shard, so that a gram in a third of all texts is split.
-SALTS = 8
+SALTS = 4
 #: Below this many false alarms (rows of a text, a position and a digest) they are broadcast, beyond it they are joined.
 BROADCAST_ROWS = 500_000
 GRAM_FACTOR = 0xD6E8FEB86659FD93

@@ -275,12 +275,12 @@ def test_sketch_passes_few_at_any_size():
         keys = draw.integers(0, 2**63, grams, dtype=np.uint64)
         again = keys[: grams // 10]
         shape = substring_dedup.Shape(80 * grams, most_bits, least_bits=8)
-        assert shape.bytes >= 2 * grams and (most_bits == 22) == (shape.shard_bits == 0)
+        assert shape.bytes >= grams and (most_bits == 22) == (shape.shard_bits == 0)
         all_ = np.concatenate((keys, again))
         at = shape.counters(all_) + shape.shard(all_) * 8 * shape.shard_bytes
         many = np.bincount(at.ravel(), minlength=8 * shape.bytes) > 1
         found = substring_dedup.Sketch(shape, np.packbits(many)).repeated(keys)
-        assert found[: grams // 10].all() and found[grams // 10 :].mean() < 0.01
+        assert found[: grams // 10].all() and found[grams // 10 :].mean() < 0.025
     for load, share in ((0.1, 1e-3), (0.4, 0.03), (1.0, 0.25), (4.0, 1.0)):  # of counters: saturation lets all through
         assert (1 - np.exp(-load)) ** substring_dedup.DEPTH < share + 1e-12
 
