@@ -203,14 +203,14 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
 
 
 def one_of_each(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", find=near_duplicates, **options) -> DataFrame:
-    """docs with one document of each component that find gives: that with the smallest id, and of rows with equal ids the one whose text has the smallest SHA-256.
+    """docs with one document of each component that find gives: that with the smallest id, and of rows with equal ids the one whose text has the smallest hash.
 
     A row is known by its id and text, so that only rows of one component are merged; of rows equal in both, any one stays. Rows without an
     id are kept only where no row with an id is like them.
     """
     plain, name = unnamed(docs)
     own, words = F.col(name[doc_id]), F.col(name[text])
-    key = F.struct(own.isNull().alias("none"), own.alias("id"), F.sha2(F.coalesce(words, F.lit("")), 256).alias("text"))
+    key = F.struct(own.isNull().alias("none"), own.alias("id"), *[F.xxhash64(F.lit(seed), F.coalesce(words, F.lit(""))).alias(seed) for seed in ("one", "two")])
     keyed = plain.withColumn("row_key", key)
     found = find(keyed, name[text], "row_key", **options)
     chosen = found.filter(F.col("doc_id") == F.col("component_id")).select(F.col("doc_id").alias("row_key")).distinct()
