@@ -144,6 +144,11 @@ query("q_quadinv_hadamard64", f"SELECT i, j, (CASE WHEN bit_count(i & j) % 2 = 0
 query("q_quadinv_hilbert6", O.cells(O.inverse(O.HILBERT6, 6), 2))(lambda s, d: shown(to_coo(quad_inverse(matrices.hilbert(s, 6, 3))), 2))
 query("q_quadinv_swap16", f"SELECT i, j, (CASE WHEN (i + 8) % 16 = j THEN 1.0 ELSE 0.0 END)::DOUBLE AS x FROM {NUMBERS.format(n=16)}")(lambda s, d: shown(to_coo(quad_inverse(matrices.swap(s, 16, 4))), 8))
 
+for n in (64, 128):
+    for b in (2, 4):
+        corner = f"SELECT i, j, round(CASE WHEN i >= {n // 2} AND j >= {n // 2} THEN -((i - {n // 2}) % 7 + 1) / 3.0::DOUBLE * (((j - {n // 2}) % 5 + 1) / 7.0::DOUBLE) WHEN abs(i - j) = {n // 2} THEN 1.0 ELSE 0.0 END::DOUBLE, 4) + 0.0 AS x FROM {NUMBERS.format(n=n)}"
+        query(f"q_quadinv_low_rank_corner{n}_b{b}", corner)(lambda s, d, n=n, b=b: shown(to_coo(quad_inverse(matrices.low_rank_corner(s, n, n // b))), 4))
+
 # Operations on blocks.
 
 PRICE64 = O.price(64)

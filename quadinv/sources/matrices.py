@@ -207,6 +207,19 @@ def hilbert(spark: SparkSession, n: int, block: int) -> BlockFrame:
     return generated(spark, n, block, lambda i, j: 1.0 / (i + j + 1))
 
 
+def low_rank_corner(spark: SparkSession, n: int, block: int) -> BlockFrame:
+    """[[E, I], [I, 0]] with E of rank one but for rounding: regular, though its leading quadrant is not. The inverse is [[0, I], [I, -E]]."""
+    import numpy as np
+
+    h = n // 2
+
+    def cell(i, j):
+        e = (i % 7 + 1) / 3.0 * ((j % 5 + 1) / 7.0)
+        return np.where((i < h) & (j < h), e, (np.abs(i - j) == h).astype(float))
+
+    return generated(spark, n, block, cell)
+
+
 def swap(spark: SparkSession, n: int, block: int) -> BlockFrame:
     """[[0, I], [I, 0]]: its own inverse, with a singular leading quadrant."""
     return generated(spark, n, block, lambda i, j: ((i + n // 2) % n == j).astype(float))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -12,6 +13,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators.blocks import from_coo
 from ..operators.invert import InvertOptions, quad_inverse
+from ..plans.lineage import shared_folder
 from ..sources.matrices import damped
 
 EVENTS_DDL = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
@@ -101,7 +103,10 @@ def rank_one_inverse(vectors: DataFrame, width: int) -> DataFrame:
 
 
 def invert_each_batch(shares: DataFrame, n: int, block: int, sink: Callable[[DataFrame, int], None], opts: InvertOptions | None = None):
-    """A writer that inverts I - 0.9 P for the cells of each micro-batch and hands the inverse's cells to sink."""
+    """A writer that inverts I - 0.9 P for the cells of each micro-batch and hands the inverse's cells to sink.
+
+    Set its checkpointLocation to a folder that all executors share.
+    """
     from ..operators.blocks import to_coo
 
     def run(batch: DataFrame, number: int) -> None:
@@ -112,6 +117,7 @@ def invert_each_batch(shares: DataFrame, n: int, block: int, sink: Callable[[Dat
 
 def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """What a stream gives from all that is there now, as a table in memory (for results of bounded size)."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    state = f"{shared_folder(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True).start()
     query.awaitTermination()
     return stream.sparkSession.table(name)

@@ -103,3 +103,13 @@ def test_trace(spark):
     t.add(0, "r", "multiply", 6)
     rows = {r.op: r.calls for r in metrics.step_table(t, spark).collect()}
     assert rows == {"leaf": 1, "multiply": 6, "total": 7} and t.ms("leaf") >= 0
+
+
+def test_reference_curves_and_ideal_scaling(spark):
+    """Doubling the order multiplies the curves by 2 to their exponents; ideal time times cores is constant, and efficiency is one on it."""
+    for exponent in (3.0, 3.2):
+        assert abs(cm.reference_curve(4096, exponent) / cm.reference_curve(2048, exponent) - 2**exponent) < 1e-9
+    assert cm.reference_curve(4096, 3.2) > cm.reference_curve(4096, 3.0)
+    assert [metrics.ideal_scaling(120.0, p) for p in (1, 5, 25)] == [120.0, 24.0, 4.8]
+    rows = [(4096, p, metrics.ideal_scaling(120.0, p)) for p in (1, 5, 25)]
+    assert all(abs(r.efficiency - 1) < 1e-12 and abs(r.ideal - r.seconds) < 1e-12 for r in metrics.efficiency(spark.createDataFrame(rows, "n long, cores int, seconds double")).collect())
