@@ -10,8 +10,9 @@ GRAM = """(SELECT i, j, sum(p * q) + CASE WHEN i = j THEN 1.0 ELSE 0.0 END AS x
 
 
 def price(n: int, shift: float = 0.0) -> str:
-    return f"""(SELECT k // {n} AS i, k % {n} AS j, (CAST(round(l_extendedprice * 100) AS BIGINT) % 100000) / 100000.0::DOUBLE + CASE WHEN k // {n} = k % {n} THEN {float(shift)} ELSE 0.0 END AS x
- FROM (SELECT l_extendedprice, row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_partkey, l_suppkey, l_extendedprice) - 1 AS k FROM lineitem) WHERE k < {n * n})"""
+    return f"""(SELECT i, j, (sum(c) % 100000) / 100000.0::DOUBLE + CASE WHEN i = j THEN {float(shift)} ELSE 0.0 END AS x
+ FROM (SELECT coalesce(l_orderkey % {n}, 0) AS i, coalesce(l_partkey % {n}, 0) AS j, coalesce(CAST(round(l_extendedprice * 100) AS BIGINT), 0) AS c FROM lineitem
+  UNION ALL SELECT a.i, b.j, 0 FROM range({n}) a(i), range({n}) b(j)) GROUP BY i, j)"""
 
 
 FLOW_SHARES = """(WITH f AS (SELECT c_nationkey AS i, s_nationkey AS j, sum(CAST(round(l_extendedprice * 100) AS BIGINT)) AS c

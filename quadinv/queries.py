@@ -109,18 +109,13 @@ query("q_blocklu_price_dom_all")(lambda s, d: shown(to_coo(blocklu.lu_inverse(pr
 query("q_multiply_price_all")(lambda s, d: shown(to_coo(multiply(price_all(s, d, False), price_all(s, d, False))), 6))
 
 
-# (X X' + I)^-1 = I - X (I + X'X)^-1 X', so elimination of 64 x 64 answers for 500 x 500.
-KERNEL_SQL = f"""WITH v AS (SELECT row_number() OVER (ORDER BY vec_id) - 1 AS i, embedding FROM (SELECT * FROM embeddings ORDER BY vec_id LIMIT 500)), f AS (SELECT i, CAST(unnest(embedding) AS DOUBLE) AS p, unnest(range(64)) AS k FROM v),
- h AS (SELECT f.i, g.j AS k, sum(f.p * g.x) AS y FROM f JOIN {O.inverse(O.GRAM.replace('FROM embeddings', 'FROM (SELECT * FROM embeddings ORDER BY vec_id LIMIT 500)'), 64)} AS g ON g.i = f.k GROUP BY 1, 2)
+# (X X' + I)^-1 = I - X (I + X'X)^-1 X', so elimination of 64 x 64 answers for as many rows as there are.
+KERNEL_SQL = f"""WITH v AS (SELECT row_number() OVER (ORDER BY vec_id) - 1 AS i, embedding FROM embeddings), f AS (SELECT i, CAST(unnest(embedding) AS DOUBLE) AS p, unnest(range(64)) AS k FROM v),
+ h AS (SELECT f.i, g.j AS k, sum(f.p * g.x) AS y FROM f JOIN {O.inverse(O.GRAM, 64)} AS g ON g.i = f.k GROUP BY 1, 2)
  SELECT CAST(h.i AS BIGINT) AS i, CAST(f.i AS BIGINT) AS j, round(CASE WHEN h.i = f.i THEN 1.0 ELSE 0.0 END - sum(h.y * f.p), 8) + 0.0 AS x FROM h JOIN f ON f.k = h.k GROUP BY h.i, f.i"""
 
 
-@query("q_quadinv_kernel500", KERNEL_SQL)
-def kernel500(s, d):
-    return shown(to_coo(quad_inverse(from_coo(matrices.kernel(s, d, 500), 500, 128))), 8)
-
-
-@query("q_quadinv_kernel_all")
+@query("q_quadinv_kernel_all", KERNEL_SQL)
 def kernel_all(s, d):
     """The kernel of all embeddings, its order their number."""
     n = table(s, d, "embeddings").count()

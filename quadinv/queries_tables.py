@@ -24,26 +24,11 @@ query("q_normal_cells", O.cells(O.NORMAL, 2))(lambda s, d: shown(matrices.normal
 query("q_supplier_cells", O.cells(f"(SELECT * FROM {O.SUPPLIERS} AS q WHERE x <> 0)", 6))(lambda s, d: shown(matrices.supplier_graph(s, d), 6))
 query("q_band_cells", O.cells(f"(SELECT * FROM {PRICE64} AS p WHERE abs(i - j) <= 2)", 8))(lambda s, d: shown(to_coo(p64(s, d)).filter(F.abs(F.col("i") - F.col("j")).between(0, 2)), 8))
 
-EVENTS_EMBEDDED = "(SELECT vec_id, embedding FROM embeddings WHERE vec_id < 100)"
 
-
-@query("q_kernel_cells", f"SELECT a.vec_id AS i, b.vec_id AS j, round(list_sum(list_transform(range(1, 65), lambda k: CAST(a.embedding[k] AS DOUBLE) * CAST(b.embedding[k] AS DOUBLE))), 8) + 0.0 AS x FROM {EVENTS_EMBEDDED} a, {EVENTS_EMBEDDED} b")
+@query("q_kernel_cells", "SELECT a.vec_id AS i, b.vec_id AS j, round(list_sum(list_transform(range(1, 65), lambda k: CAST(a.embedding[k] AS DOUBLE) * CAST(b.embedding[k] AS DOUBLE))), 8) + 0.0 AS x FROM embeddings a, embeddings b")
 def kernel_cells(s, d):
-    """All pairs of a bounded set: the one place where a nested-loop join is what is asked for."""
-    return _dots(table(s, d, "embeddings").filter("vec_id < 100"))
-
-
-@query("q_kernel_cells_all")
-def kernel_cells_all(s, d):
-    """All pairs of all embeddings; their number is the square of the table's, so no SQL answers beside it."""
-    return _dots(table(s, d, "embeddings"))
-
-
-def _dots(vectors):
-    one = vectors.select(F.col("vec_id").alias("i"), F.transform("embedding", lambda x: x.cast("double")).alias("e"))
-    two = one.select(F.col("i").alias("j"), F.col("e").alias("f"))
-    dot = F.aggregate(F.zip_with("e", "f", lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x)
-    return one.crossJoin(F.broadcast(two)).select("i", "j", rounded(dot, 8).alias("x"))
+    """All pairs of all embeddings, a bounded set: the one place where a nested-loop join is what is asked for."""
+    return shown(matrices.dots(matrices.vectors(s, d).withColumnRenamed("vec_id", "i")), 8)
 
 
 @query("q_dot_products", "SELECT vec_id, round(list_sum(list_transform(embedding, lambda v: CAST(v AS DOUBLE) * CAST(v AS DOUBLE))), 8) + 0.0 AS x FROM embeddings")

@@ -15,7 +15,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-#: Rows of which kernel() forms all pairs at most; one side of them is broadcast.
+#: Rows of which dots() forms all pairs at most; one side of them is broadcast.
 KERNEL_ROWS = 50_000
 PRICE_KEY = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice"]
 
@@ -35,11 +35,17 @@ def numbered(df: DataFrame, keys: list[str], name: str = "k") -> DataFrame:
 
 
 def price(spark: SparkSession, sf_dir: str, n: int) -> DataFrame:
-    """Dense and non-symmetric: the fractions of the first n * n prices, row by row."""
-    lines = table(spark, sf_dir, "lineitem").select(PRICE_KEY)
-    cents = F.round(F.col("l_extendedprice") * 100).cast("long")
-    cells = numbered(lines, PRICE_KEY).filter(F.col("k") < n * n)
-    return cells.select(F.floor(F.col("k") / n).alias("i"), (F.col("k") % n).alias("j"), (F.pmod(cents, F.lit(100000)) / 100000.0).alias("x"))
+    """Dense and non-symmetric: all prices folded by order and part, the cell (order mod n, part mod n) the fraction of their sum.
+
+    Sums are of whole cents, so they don't depend on the order of rows; a null key counts as 0, a null price adds nothing, a cell
+    without rows is zero.
+    """
+    cents = F.coalesce(F.round(F.col("l_extendedprice") * 100).cast("long"), F.lit(0).cast("long")).alias("c")
+    place = lambda key: F.coalesce(F.pmod(F.col(key), F.lit(n)).cast("long"), F.lit(0).cast("long"))
+    lines = table(spark, sf_dir, "lineitem").select(place("l_orderkey").alias("i"), place("l_partkey").alias("j"), cents)
+    every = spark.range(n * n).select(F.floor(F.col("id") / n).alias("i"), (F.col("id") % n).alias("j"), F.lit(0).cast("long").alias("c"))
+    sums = lines.unionByName(every).groupBy("i", "j").agg(F.sum("c").alias("c"))
+    return sums.select("i", "j", (F.pmod(F.col("c"), F.lit(100000)) / 100000.0).alias("x"))
 
 
 def price_order(rows: int) -> int:
@@ -48,7 +54,10 @@ def price_order(rows: int) -> int:
 
 
 def price_all(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, int]:
-    """As price(), of every row: the cells and the order, the least that holds all rows. Cells behind the last row are zero."""
+    """The fractions of all prices row by row, in the order of PRICE_KEY: the cells and the order, the least that holds all rows.
+
+    Cells behind the last row are zero.
+    """
     lines = table(spark, sf_dir, "lineitem").select(PRICE_KEY)
     count = lines.count()
     n = price_order(count)
@@ -90,17 +99,23 @@ def gram(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shifted(gram_of(table(spark, sf_dir, "embeddings"), "embedding", 64), 1.0)
 
 
-def kernel(spark: SparkSession, sf_dir: str, n: int | None = None) -> DataFrame:
-    """X X' + I over all pairs of the n first embeddings: symmetric positive definite. A join of a bounded side with itself."""
-    some = table(spark, sf_dir, "embeddings").select(F.col("vec_id"), F.transform("embedding", lambda x: x.cast("double")).alias("e"))
-    rows = numbered(some, ["vec_id"], "i")
-    if n is not None:
-        rows = rows.filter(F.col("i") < n)
+def dots(rows: DataFrame) -> DataFrame:
+    """(i, j, x): the dot products of all pairs of rows (i, e), at most KERNEL_ROWS of them, for one side is broadcast."""
     if (count := rows.count()) > KERNEL_ROWS:
-        raise ValueError(f"{count} rows are too many for all pairs; take n of them")
+        raise ValueError(f"{count} rows are too many for all pairs; at most {KERNEL_ROWS}")
     other = rows.select(F.col("i").alias("j"), F.col("e").alias("f"))
     dot = F.aggregate(F.zip_with("e", "f", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    return rows.crossJoin(F.broadcast(other)).select("i", "j", (dot + F.when(F.col("i") == F.col("j"), 1.0).otherwise(0.0)).alias("x"))
+    return rows.crossJoin(F.broadcast(other)).select("i", "j", dot.alias("x"))
+
+
+def vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(vec_id, e) of all embeddings, in doubles."""
+    return table(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: x.cast("double")).alias("e"))
+
+
+def kernel(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """X X' + I over all pairs of embeddings, numbered by vec_id: symmetric positive definite."""
+    return shifted(dots(numbered(vectors(spark, sf_dir), ["vec_id"], "i").select("i", "e")), 1.0)
 
 
 def flow_shares(spark: SparkSession, sf_dir: str) -> DataFrame:

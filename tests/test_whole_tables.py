@@ -19,7 +19,7 @@ def test_kernel_takes_every_row(spark, tmp_path):
     spark.createDataFrame([(k, v.tolist()) for k, v in enumerate(e)], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
     want = e.astype(float) @ e.astype(float).T
     queries = entry.queries()
-    assert np.abs(cells(queries["q_kernel_cells_all"](spark, str(tmp_path)).collect(), n) - want).max() < 1e-7
+    assert np.abs(cells(queries["q_kernel_cells"](spark, str(tmp_path)).collect(), n) - want).max() < 1e-7
     assert np.abs(cells(queries["q_quadinv_kernel_all"](spark, str(tmp_path)).collect(), n) - np.linalg.inv(want + np.eye(n))).max() < 1e-7
 
 
@@ -40,3 +40,16 @@ def test_price_takes_every_row(spark, tmp_path):
     assert np.abs(run("q_multiply_price_all") - want @ want).max() < 1e-5
     inverse = np.linalg.inv(want + 131 * np.eye(131))
     assert np.abs(run("q_quadinv_price_dom_all") - inverse).max() < 1e-9 and np.abs(run("q_blocklu_price_dom_all") - inverse).max() < 1e-9
+
+
+def test_folded_prices_take_every_row(spark, tmp_path):
+    draw = np.random.default_rng(8)
+    rows = [(int(a), int(b), float(np.round(x, 2))) for a, b, x in zip(draw.integers(0, 3000, 9000), draw.integers(0, 800, 9000), draw.random(9000) * 90000)]
+    rows += [(None, 5, 1.25), (7, None, 2.5), (7, 8, None)]
+    ddl = "l_orderkey long, l_partkey long, l_extendedprice double"
+    spark.createDataFrame(rows, ddl).write.parquet(f"{tmp_path}/lineitem.parquet")
+    want = np.zeros((128, 128), np.int64)
+    for a, b, x in rows:
+        want[(a or 0) % 128, (b or 0) % 128] += round((x or 0) * 100)
+    queries = entry.queries()
+    assert np.abs(cells(queries["q_price_cells"](spark, str(tmp_path)).collect(), 128) - want % 100000 / 100000).max() < 1e-9
