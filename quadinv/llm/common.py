@@ -31,6 +31,11 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def tidy(spark: SparkSession) -> None:
+    """Have the driver's JVM collect its garbage: its heap shrinks, and the cleaner removes shuffles and checkpoints of frames that are gone."""
+    spark.sparkContext._jvm.System.gc()
+
+
 def shared_folder(spark: SparkSession, name: str) -> str:
     """A new folder under the session's spark.checkpoint.dir.
 

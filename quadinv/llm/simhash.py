@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import cut, extended, own_exchange, renamed, table, unnamed, utf8, with_columns
-from .components import components
+from .components import components, forest_of
 
 SHINGLE = 3
 RADIUS = 2
@@ -109,19 +109,6 @@ class Forest:
         return tuple(np.concatenate(x) for x in zip(*found))
 
 
-def _forest_of(left: np.ndarray, right: np.ndarray, n: int) -> np.ndarray:
-    """The least member of each of n nodes' component, by passing minima along the links until they rest."""
-    root = np.arange(n)
-    while True:
-        new = root.copy()
-        np.minimum.at(new, left, root[right])
-        np.minimum.at(new, right, root[left])
-        new = new[new]
-        if (new == root).all():
-            return root
-        root = new
-
-
 def _cells(rows: np.ndarray, queries_only: np.ndarray, cell: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
     """Spanning links of whole cells; rows flagged queries_only are searched for but aren't in the tree."""
     tree = np.flatnonzero(~queries_only)
@@ -131,7 +118,7 @@ def _cells(rows: np.ndarray, queries_only: np.ndarray, cell: np.ndarray, radius:
     query, node = forest.within(rows[asked], cell[asked], radius)
     left, right = asked[query], tree[node]
     other = left != right
-    root = _forest_of(left[other], right[other], len(rows))
+    root = forest_of(left[other], right[other], len(rows))
     joined = np.flatnonzero(root != np.arange(len(rows)))
     return rows[joined], rows[root[joined]]
 
