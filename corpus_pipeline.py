@@ -27,7 +27,7 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near-duplicates: texts whose sets of five-word shingles have a Jaccard similarity of 0.8 or more.
 
-    At that similarity two fingerprints differ in about ten of 64 bits, which is beyond the reach of trees: min-hashes give the candidates.
+    BK-trees over SimHash fingerprints give candidates, min-hashes those beyond the trees' reach; whole shingle sets decide.
     """
     return simhash.one_of_each(docs, find=jaccard.near_duplicates)
 

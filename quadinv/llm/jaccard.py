@@ -1,6 +1,7 @@
-"""Near-duplicates by the Jaccard similarity of their sets of five-word shingles: min-hash candidates, exact comparison.
+"""Near-duplicates by the Jaccard similarity of their sets of five-word shingles: candidates by SimHash and min-hash, exact comparison.
 
-A document's 40 bands of 5 minima give it 40 keys; two documents of similarity s share none with probability (1 - s^5)^40, which
+SimHash fingerprints of the same shingles are linked by the BK-trees of `simhash` within RADIUS bits, texts of one fingerprint among
+them. At a similarity of 0.8 fingerprints differ in about ten bits, out of the trees' reach, so min-hashes widen it: a document's 40 bands of 5 minima give it 40 keys; two documents of similarity s share none with probability (1 - s^5)^40, which
 is 1.3e-7 at 0.8 and less above. Documents of a key are tied to its smallest one, so that a key makes no pairs, and the components
 of these ties are groups. All pairs of a group are compared by their whole sets: a group over `cell_bytes` is cut into slices
 and each two slices meet in a cell, within which a search from document to document leaves out what it has reached.
@@ -18,13 +19,16 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, mix, own_exchange, rolling, utf8, word_hashes
+from . import simhash
+from .common import cut, mix, own_exchange, rolling, tidy, utf8, word_hashes
 from .components import components
 
 SHINGLE = 5
 #: Least similarity, as a fraction of whole numbers so that equality is exact.
 SIMILARITY = (4, 5)
 BANDS, ROWS = 40, 5
+#: Bits in which linked fingerprints differ at most; 15 shard keys of about 21 bits.
+RADIUS = 4
 CELL_BYTES = 4 << 20
 MULTIPLIER = 0x9E3779B97F4A7C15
 _DRAWN = mix(np.arange(1, 2 * BANDS * ROWS + 1, dtype=np.uint64) * np.uint64(MULTIPLIER))
@@ -53,13 +57,14 @@ def keys(tokens: np.ndarray) -> np.ndarray:
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """(doc_id, node, keys) of docs (doc_id, text)."""
+    """(doc_id, node, fp, keys) of docs (doc_id, text)."""
 
     def run(batches: Iterator[pa.RecordBatch]):
         for batch in batches:
-            nodes, ends, found = [], [0], []
+            nodes, prints, ends, found = [], [], [0], []
             for text in utf8(batch.column("text")):
                 words = words_of(text)
+                prints.append(simhash.fingerprint(text, SHINGLE))
                 nodes.append(xxhash.xxh3_64_intdigest(b" ".join(words)))
                 if words:
                     found.append(keys(shingles(words)))
@@ -67,10 +72,11 @@ def sketches(docs: DataFrame) -> DataFrame:
             values = pa.array(np.concatenate(found).view(np.int64) if found else np.empty(0, np.int64))
             lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), values)
             ids = batch.column(batch.schema.get_field_index("doc_id"))
-            yield pa.RecordBatch.from_arrays([ids, pa.array(np.array(nodes, np.uint64).view(np.int64)), lists], names=["doc_id", "node", "keys"])
+            longs = [pa.array(np.array(x, np.uint64).view(np.int64)) for x in (nodes, prints)]
+            yield pa.RecordBatch.from_arrays([ids, *longs, lists], names=["doc_id", "node", "fp", "keys"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, node long, keys array<long>")
+    return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {kind}, node long, fp long, keys array<long>")
 
 
 def texts(docs: DataFrame) -> DataFrame:
@@ -92,6 +98,16 @@ def ties(nodes: DataFrame) -> DataFrame:
     return keyed.join(own_exchange(least, "key"), "key").filter("node <> least").select(F.col("node").alias("a"), F.col("least").alias("b")).distinct()
 
 
+def print_ties(prints: DataFrame, radius: int = RADIUS) -> DataFrame:
+    """Edges (a, b) that tie the nodes of prints (node, fp) as the trees link their fingerprints; nodes of one fingerprint are tied too."""
+    first = cut(prints.groupBy("fp").agg(F.min("node").alias("least"), F.count("*").alias("n")))
+    shared = own_exchange(first.filter("n > 1").select("fp", "least"), "fp")
+    same = prints.join(shared, "fp").filter("node <> least").select(F.col("node").alias("a"), F.col("least").alias("b"))
+    one, two = (first.select(F.col("fp").alias(c), F.col("least").alias(f"node_{c}")) for c in ("a", "b"))
+    linked = simhash.links(first.select("fp"), radius).join(one, "a").join(two, "b").select(F.col("node_a").alias("a"), F.col("node_b").alias("b"))
+    return same.unionByName(linked)
+
+
 def similar(sets: list[np.ndarray]) -> list[tuple[int, int]]:
     """A spanning forest of the pairs of sets whose similarity is SIMILARITY at least, all pairs considered."""
     over, under = SIMILARITY
@@ -156,9 +172,12 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     """(doc_id, node, component_id) of every row of docs: the smallest id that is reached by steps of similar texts."""
     given = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text"))
     rows = cut(sketches(given))
-    groups = components(ties(rows.groupBy("node").agg(F.first("keys").alias("keys"))))
+    near = print_ties(rows.select("node", "fp").distinct())
+    groups = cut(components(near.unionByName(ties(rows.groupBy("node").agg(F.first("keys").alias("keys"))))))
+    tidy(docs.sparkSession)
     members = texts(given).join(own_exchange(groups, "node"), "node").select("root", "node", "text")
     roots = components(links(members, cell_bytes))
+    tidy(docs.sparkSession)
     named = rows.groupBy("node").agg(F.min("doc_id").alias("least")).join(roots, "node", "left").select("node", "least", F.coalesce("root", "node").alias("root"))
     smallest = named.groupBy("root").agg(F.min("least").alias("component_id"))
     found = named.join(own_exchange(smallest, "root"), "root").select("node", "component_id")
