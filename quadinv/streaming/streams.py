@@ -70,7 +70,10 @@ def transition_stream(events: DataFrame) -> DataFrame:
     """
 
     def steps(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        types = pd.concat(list(frames)).sort_values(["ts", "event_id"])["event_type"].tolist()
+        parts = list(frames)
+        met = parts[0] if len(parts) == 1 else pd.concat(parts)
+        order = np.lexsort((met["event_id"].to_numpy(), met["ts"].to_numpy()))
+        types = met["event_type"].to_numpy()[order].tolist()
         if state.exists:
             types = [state.get[0], *types]
         state.update((types[-1],))
@@ -116,8 +119,25 @@ def invert_each_batch(shares: DataFrame, n: int, block: int, sink: Callable[[Dat
 
 
 def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """What a stream gives from all that is there now, as a table in memory (for results of bounded size)."""
-    state = f"{shared_folder(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", state).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+    """What a stream gives from all that is there now. Rows go to files of the folder that the cluster shares, not through the driver.
+
+    Complete results replace each other, so the last micro-batch's is the result. Updates are kept in memory (for results of bounded size).
+    """
+    spark = stream.sparkSession
+    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    writer = stream.writeStream.queryName(name).outputMode(mode).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True)
+    if mode == "update":
+        writer.format("memory").start().awaitTermination()
+        return spark.table(name)
+    if mode == "append":
+        writer.format("parquet").option("path", f"{folder}/rows").start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(f"{folder}/rows")
+    last: list[str] = []
+
+    def kept(batch: DataFrame, number: int) -> None:
+        path = f"{folder}/rows-{number}"
+        batch.write.mode("overwrite").parquet(path)
+        last[:] = [path]
+
+    writer.foreachBatch(kept).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(*last) if last else spark.createDataFrame([], stream.schema)

@@ -55,3 +55,17 @@ def test_inverse_of_each_batch(spark, tmp_path):
     writer.trigger(availableNow=True).start().awaitTermination()
     want = np.linalg.inv(np.eye(2) - 0.9 * np.full((2, 2), 0.5))
     assert np.allclose([[seen[0][i, j] for j in range(2)] for i in range(2)], want)
+
+
+def test_drained_rows_do_not_go_through_the_driver(spark, tmp_path):
+    day = dt.datetime(2024, 1, 1)
+    folder = tmp_path / "d"
+    for k in range(2):
+        write(spark, folder, k, [(5 * k + i, day + dt.timedelta(hours=5 * k + i), i % 2, "view" if i % 3 else "click", 1.0, None) for i in range(5)], streams.EVENTS_DDL)
+    source = spark.readStream.schema(streams.EVENTS_DDL).option("maxFilesPerTrigger", 1).parquet(str(folder))
+    name = f"n{uuid.uuid4().hex}"
+    steps = streams.drained(streams.transition_stream(source), name)
+    counts = streams.drained(streams.tumbling_counts(source), f"{name}c", "complete")
+    assert not spark.catalog.tableExists(name) and not spark.catalog.tableExists(f"{name}c")
+    assert steps.count() == 8 and sum(r.n for r in counts.collect()) == 10
+    assert len(counts.collect()) == 2
